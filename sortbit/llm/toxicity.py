@@ -105,7 +105,7 @@ def _document_frequency(texts: list[str], widths: tuple[int, ...]) -> np.ndarray
     return df
 
 
-def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7), n_features: int = 1024, steps: int = 500, rate: float = 0.05, decay: float = 1e-4) -> ToxicityModel:
+def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7), n_features: int = 1024, least_z: float = 4.0, steps: int = 500, rate: float = 0.05, decay: float = 1e-4) -> ToxicityModel:
     """The model for texts given to the driver. A prior beyond [0.001, 0.9] is moved there."""
     if not positive or not unlabelled:
         return ToxicityModel(widths)
@@ -113,7 +113,7 @@ def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7
     dp, du = _document_frequency(positive, widths), _document_frequency(unlabelled, widths)
     p, u = (dp + 0.5) / (len(positive) + 1), (du + 0.5) / (len(unlabelled) + 1)
     spread = np.sqrt(p * (1 - p) / len(positive) + u * (1 - u) / len(unlabelled))
-    weight = np.where(dp + du >= 3, np.abs(p - u) / spread * np.abs(np.log(p / u)), 0)
+    weight = np.where((dp + du >= 3) & (np.abs(p - u) >= least_z * spread), np.abs(p - u) / spread * np.abs(np.log(p / u)), 0)
     best = np.argsort(-weight, kind="stable")[:n_features]
     model = ToxicityModel(tuple(widths), np.sort(best[weight[best] > 0]).astype(np.int64))
     if not len(model.features):
@@ -151,7 +151,7 @@ def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 3000, max_unlabelled: int = 6000, **how) -> ToxicityModel:
-    """Learns from rows outside the held-out fold: confirmed toxic documents, and any others as unlabelled text.
+    """Learns from rows outside the held-out fold: confirmed toxic documents, and a sample of all as unlabelled text.
 
     docs: doc_id, text; labels: doc_id, toxic. The class prior is the share of toxic rows among the labels.
     """
@@ -163,8 +163,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 3000, max_unlabe
     texts = docs.select("doc_id", "text").where(~fold_is_held_out(F.col("doc_id")))
     pos = [r[0] or "" for r in texts.join(F.broadcast(positive), "doc_id", "left_semi").select("text").collect()]
     rest = bounded_sample(texts, "doc_id", max_unlabelled, seed=1)
-    known = bounded_sample(learn.where("toxic = 1").select("doc_id"), "doc_id", 1 << 62)
-    rest = [r[0] or "" for r in rest.join(known, "doc_id", "left_anti").select("text").collect()]
+    rest = [r[0] or "" for r in rest.select("text").collect()]
     return train(pos, rest, toxic / n, **how)
 
 
