@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language_id, packing, token_output, toxicity
+from . import language_id, packing, quality_rules, token_output, toxicity
 from .base import fold_is_held_out, read
 
 #: A text is taken as toxic from this score on.
@@ -28,6 +28,13 @@ def op3_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.pack_tokens(read(spark, sf_dir, "documents"))
 
 
+def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    rules = quality_rules.fit(docs, read(spark, sf_dir, "labels"))
+    found = quality_rules.apply_rules(quality_rules.statistics(docs), rules)
+    return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(read(spark, sf_dir, "documents"))
 
@@ -36,6 +43,7 @@ QUERIES = {
     "op3_token_output": op3_token_output,
     "op5_language_id": op5_language_id,
     "op7_toxicity": op7_toxicity,
+    "op8_quality_rules": op8_quality_rules,
     "op10_packing": op10_packing,
 }
 
