@@ -58,4 +58,24 @@ QUERIES = {
 }
 
 #: DuckDB SQL for the queries that SQL can express.
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op9_near_dedup": r"""
+        WITH RECURSIVE worded AS (
+            SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w
+            FROM documents),
+        shingle AS (
+            SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) >= 5 THEN [array_to_string(w[i:i + 4], ' ') FOR i IN range(1, len(w) - 3)]
+                                               WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END) AS s
+            FROM worded),
+        counted AS (SELECT doc_id, count(*) AS n FROM shingle GROUP BY doc_id),
+        pair AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS both_n FROM shingle a JOIN shingle b USING (s) WHERE a.doc_id < b.doc_id GROUP BY ALL),
+        link AS (
+            SELECT x, y FROM pair JOIN counted p ON p.doc_id = x JOIN counted q ON q.doc_id = y
+            WHERE 100 * both_n >= 75 * (p.n + q.n - both_n)),
+        edge AS (SELECT x, y FROM link UNION ALL SELECT y, x FROM link),
+        reach AS (SELECT x AS doc_id, x AS other FROM edge UNION SELECT r.doc_id, e.y FROM reach r JOIN edge e ON e.x = r.other),
+        least AS (SELECT doc_id, min(other) AS component FROM reach GROUP BY doc_id)
+        SELECT d.doc_id, coalesce(c.n, 0)::BIGINT AS n_shingles, coalesce(l.component, d.doc_id) AS component_id, coalesce(l.component, d.doc_id) = d.doc_id AS kept
+        FROM documents d LEFT JOIN counted c ON c.doc_id = d.doc_id LEFT JOIN least l ON l.doc_id = d.doc_id
+    """,
+}
