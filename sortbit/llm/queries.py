@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, language_id, near_dedup, packing, quality_rules, token_output, toxicity
+from . import decontaminate, language_id, line_dedup, near_dedup, packing, quality_rules, token_output, toxicity
 from .base import fold_is_held_out, read
 
 #: A text is taken as toxic from this score on.
@@ -32,6 +32,12 @@ def op3_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.pack_tokens(read(spark, sf_dir, "documents"))
 
 
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    done = line_dedup.deduplicate_lines(docs, count_as="deleted_lines")
+    return done.select("doc_id", "deleted_lines", F.md5("text").alias("text_md5"))
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     rules = quality_rules.fit(docs, read(spark, sf_dir, "labels"))
@@ -47,11 +53,36 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(read(spark, sf_dir, "documents"))
 
 
+#: Up to a table `stripped` (doc_id, text, flags): documents without later copies of repeated line runs.
+LINE_DEDUP_SQL = r"""
+        WITH line AS (
+            SELECT doc_id, unnest(string_split(text, chr(10))) AS s, generate_subscripts(string_split(text, chr(10)), 1) AS i
+            FROM {docs} WHERE text IS NOT NULL),
+        long AS (SELECT doc_id, i, s, sum(length(s) + 1) OVER (PARTITION BY doc_id ORDER BY i) AS upto, length(s) + 1 AS n FROM line),
+        block AS (
+            SELECT a.doc_id, a.i AS first_line, min(b.i) AS last_line FROM long a JOIN long b ON b.doc_id = a.doc_id AND b.i BETWEEN a.i AND a.i + 99
+            WHERE b.upto - a.upto + a.n >= 100 GROUP BY ALL
+            UNION
+            SELECT b.doc_id, max(a.i), b.i FROM long a JOIN long b ON b.doc_id = a.doc_id AND a.i BETWEEN b.i - 99 AND b.i
+            WHERE b.upto - a.upto + a.n >= 100 GROUP BY b.doc_id, b.i),
+        content AS (
+            SELECT k.doc_id, first_line, last_line, list_slice(string_split(d.text, chr(10)), first_line, last_line) AS body
+            FROM block k JOIN {docs} d ON d.doc_id = k.doc_id),
+        later AS (
+            SELECT doc_id, first_line, last_line FROM content
+            QUALIFY row_number() OVER (PARTITION BY body ORDER BY doc_id, first_line) > 1),
+        gone AS (SELECT DISTINCT doc_id, unnest(range(first_line, last_line + 1)) AS i FROM later),
+        stripped AS (
+            SELECT l.doc_id, coalesce(string_agg(l.s, chr(10) ORDER BY l.i) FILTER (WHERE g.i IS NULL), '') AS text, list(g.i IS NOT NULL) AS flags
+            FROM line l LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.i = l.i GROUP BY l.doc_id)
+"""
+
 QUERIES = {
     "op1_decontaminate": op1_decontaminate,
     "op3_token_output": op3_token_output,
     "op5_language_id": op5_language_id,
     "op7_toxicity": op7_toxicity,
+    "op4_line_dedup": op4_line_dedup,
     "op8_quality_rules": op8_quality_rules,
     "op9_near_dedup": op9_near_dedup,
     "op10_packing": op10_packing,
@@ -59,6 +90,11 @@ QUERIES = {
 
 #: DuckDB SQL for the queries that SQL can express.
 ORACLES: dict[str, str] = {
+    "op4_line_dedup": LINE_DEDUP_SQL.format(docs="documents")
+    + """
+        SELECT d.doc_id, coalesce(list_sum(flags::BIGINT[]), 0)::BIGINT AS deleted_lines, md5(s.text) AS text_md5
+        FROM documents d LEFT JOIN stripped s ON s.doc_id = d.doc_id
+    """,
     "op9_near_dedup": r"""
         WITH RECURSIVE worded AS (
             SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w
