@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, language_id, line_dedup, near_dedup, packing, quality_rules, token_output, toxicity
+from . import decontaminate, language_id, license_scan, line_dedup, near_dedup, packing, quality_rules, token_output, toxicity
 from .base import fold_is_held_out, read
 
 #: A text is taken as toxic from this score on.
@@ -28,6 +28,10 @@ def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contaminated(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
 
 
+def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(read(spark, sf_dir, "documents"), license_scan.known_texts(spark))
+
+
 def op3_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.pack_tokens(read(spark, sf_dir, "documents"))
 
@@ -53,6 +57,27 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(read(spark, sf_dir, "documents"))
 
 
+def license_sql() -> str:
+    """The scan with the same fixed values, in DuckDB's words."""
+    quoted = lambda x: "'" + x.replace("'", "''") + "'"
+    x = f"translate(translate(text, {quoted(license_scan.SIGNS[0])}, {quoted(license_scan.SIGNS[1])}), {quoted(license_scan._UPPER)}, {quoted(license_scan._LOWER)})"
+    x = f"regexp_replace({x}, {quoted(license_scan.COPYRIGHT_LINE)}, '\\1', 'g')"
+    x = f"' ' || regexp_replace({x}, {quoted(license_scan.PLAIN_GAP)}, '  ', 'g') || ' '"
+    for old, new in license_scan.SPELLINGS:
+        x = f"replace({x}, ' {old} ', ' {new} ')"
+    form = f"trim(regexp_replace({x}, ' +', ' ', 'g'))"
+    known = ", ".join(f"({quoted(a)}, {quoted(b)})" for a, b in license_scan.KNOWN)
+    return f"""
+        WITH known AS (
+            SELECT sha256(form) AS digest, string_agg(DISTINCT license, ',' ORDER BY license) AS license
+            FROM (SELECT license, {form} AS form FROM (VALUES {known}) v(license, text)) GROUP BY ALL),
+        whole AS (SELECT doc_id, sha256({form}) AS digest FROM documents),
+        line AS (SELECT doc_id, sha256({form}) AS digest FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS text FROM documents)),
+        notice AS (SELECT doc_id, string_agg(DISTINCT k.license, ',' ORDER BY k.license) AS notices FROM line JOIN known k USING (digest) GROUP BY doc_id)
+        SELECT w.doc_id, w.digest, k.license, n.notices FROM whole w LEFT JOIN known k USING (digest) LEFT JOIN notice n ON n.doc_id = w.doc_id
+    """
+
+
 #: Up to a table `stripped` (doc_id, text, flags): documents without later copies of repeated line runs.
 LINE_DEDUP_SQL = r"""
         WITH line AS (
@@ -79,6 +104,7 @@ LINE_DEDUP_SQL = r"""
 
 QUERIES = {
     "op1_decontaminate": op1_decontaminate,
+    "op2_license_scan": op2_license_scan,
     "op3_token_output": op3_token_output,
     "op5_language_id": op5_language_id,
     "op7_toxicity": op7_toxicity,
@@ -90,6 +116,7 @@ QUERIES = {
 
 #: DuckDB SQL for the queries that SQL can express.
 ORACLES: dict[str, str] = {
+    "op2_license_scan": license_sql(),
     "op4_line_dedup": LINE_DEDUP_SQL.format(docs="documents")
     + """
         SELECT d.doc_id, coalesce(list_sum(flags::BIGINT[]), 0)::BIGINT AS deleted_lines, md5(s.text) AS text_md5
