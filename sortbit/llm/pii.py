@@ -1,0 +1,209 @@
+"""Personal data replaced by keyed surrogates of the same type and format.
+
+Found are e-mail addresses, IPv4 addresses, telephone numbers, card-like numbers, secrets
+(hexadecimal keys, and what a token, key or password is set to) and names (after a title,
+or a known given name with a surname). A surrogate depends on a key, the entity's type and
+its canonical form alone, so one entity has one surrogate in all documents (coreference):
+
+* letters stay letters of the same script, digits digits, signs and groups stay in place;
+* text in capitals stays in capitals;
+* names keep their title and get a given name of the same gender and script.
+
+Distinctness: over the distinct entities of the corpus, a surrogate that two entities of a
+type share, or that is itself some entity of the corpus, is made anew with the next attempt
+number (all but the least entity, until none is left). Those few entities and their attempt
+numbers are joined back to the documents that hold them.
+
+All steps are DataFrame operations. A null text stays null; one without entities stays as
+it is. Entities do not overlap: at one place the leftmost counts, then the order above.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+
+from .base import Kept, keep
+
+# Titles by gender, and names by gender and script.
+TITLES = {"m": ["Mr", "Herr", "Monsieur", "Señor", "Sr", "господин"], "f": ["Mrs", "Ms", "Miss", "Frau", "Madame", "Mme", "Señora", "Sra", "госпожа"]}
+GIVEN = {
+    ("m", "latin"): ["Adam", "Bruno", "Carl", "Daniel", "Emil", "Felix", "Georg", "Hugo", "Ivan", "Jonas", "Karl", "Lucas", "Martin", "Oscar", "Paul", "Robert"],
+    ("f", "latin"): ["Anna", "Berta", "Clara", "Diana", "Elena", "Flora", "Greta", "Helena", "Irene", "Julia", "Laura", "Maria", "Nora", "Olivia", "Paula", "Rosa"],
+    ("m", "cyrillic"): ["Алексей", "Борис", "Виктор", "Дмитрий", "Егор", "Иван", "Михаил", "Николай", "Олег", "Павел", "Сергей", "Юрий"],
+    ("f", "cyrillic"): ["Анна", "Вера", "Галина", "Дарья", "Елена", "Ирина", "Мария", "Нина", "Ольга", "Полина", "Светлана", "Юлия"],
+}
+SURNAMES = {
+    "latin": ["Abel", "Barnes", "Castel", "Delmar", "Ebner", "Fabre", "Garland", "Hartmann", "Ibsen", "Jansen", "Keller", "Lindner", "Moreau", "Novak", "Ortega", "Perrin", "Quist", "Renard", "Sommer", "Torres", "Ulrich", "Vidal", "Winter", "Zeller"],
+    "cyrillic": ["Беленко", "Войтенко", "Гриценко", "Давыденко", "Ерёменко", "Жученко", "Иваненко", "Коваленко", "Лысенко", "Марченко", "Науменко", "Остапенко"],
+}
+
+_WORD = r"\p{Lu}[\p{L}\p{M}'’\-]+"
+_TITLED = rf"\b(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? {_WORD}(?: {_WORD})?"
+_KNOWN = rf"\b(?:{'|'.join(dict.fromkeys(n for ns in GIVEN.values() for n in ns))}) {_WORD}"
+_OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
+PATTERN = "|".join(
+    [
+        r"[\p{L}\p{N}][\p{L}\p{M}\p{N}._%+\-]{0,63}@[A-Za-z0-9\-]{1,63}(?:\.[A-Za-z0-9\-]{1,63})*\.[A-Za-z]{2,24}",
+        rf"(?<![\d.]){_OCTET}(?:\.{_OCTET}){{3}}(?!\.?\d)",
+        r"(?<![\d+])\+\d{1,3}[ \-]?\(?\d{2,4}\)?[ \-]?\d{3}[ \-]?\d{4}(?!\d)",
+        r"(?<![\p{L}\d])\d(?:[ \-]?\d){12,18}(?![\p{L}\d])",
+        r"(?<![\p{L}\d])(?=[A-Fa-f]*\d)[0-9A-Fa-f]{32,128}(?![\p{L}\d])",
+        r"(?<=(?i:token|secret|password|passwd|api_key|apikey) ?[=:] ?\"?)(?=[A-Za-z+/_\-]*\d)[0-9A-Za-z+/_\-]{8,128}",
+        rf"(?=\p{{Lu}}|г)(?:{_TITLED}|{_KNOWN})",
+    ]
+)
+#: A text without any of these has no entity; it spares such texts the whole pattern.
+_HINT = r"[@\d]|" + r"\b(?:" + "|".join([t for ts in TITLES.values() for t in ts] + list(dict.fromkeys(n for ns in GIVEN.values() for n in ns))) + r")\b"
+
+_ACCENTED, _CYRILLIC, _GREEK = "àáâäçèéêëìíîïñòóôöùúûü", "абвгдежзиклмнопрстуфхцчшэюя", "αβγδεζηθικλμνξοπρστυφχψω"
+
+
+def kind_of(m: Column) -> Column:
+    return (
+        F.when(m.contains("@"), "email")
+        .when(m.startswith("+"), "phone")
+        .when(m.rlike(r"^[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+$"), "ip")
+        .when(m.rlike(r"^[0-9][0-9 \-]+$") & (F.length(F.regexp_replace(m, "[^0-9]", "")) < 20), "card")
+        .when(m.rlike(r"^[0-9A-Za-z+/_\-]+$"), "secret")
+        .otherwise("name")
+    )
+
+
+def _untitled(m: Column) -> Column:
+    return F.regexp_replace(m, rf"^(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? ", "")
+
+
+def canonical(kind: Column, m: Column) -> Column:
+    """What two mentions of one entity share."""
+    return F.when(kind.isin("phone", "card"), F.regexp_replace(m, "[^0-9]", "")).when(kind == "name", F.concat(gender(m), F.lit(":"), _untitled(m))).otherwise(F.lower(m))
+
+
+def gender(m: Column) -> Column:
+    given = lambda g: [n for (x, _), ns in GIVEN.items() if x == g for n in ns]
+    first = F.regexp_extract(m, r"^(\S+?)\.? ", 1)
+    return F.when(first.isin(*TITLES["f"], *given("f")), "f").otherwise("m")
+
+
+def _script(x: Column) -> Column:
+    return F.when(x.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
+
+
+def _stream(key: str, kind: Column, entity: Column, attempt: Column) -> Column:
+    """256 hexadecimal digits."""
+    block = lambda i: F.sha2(F.concat_ws("|", F.lit(key), kind, entity, attempt.cast("string"), F.lit(str(i))), 256)
+    return F.concat(*[block(i) for i in range(4)])
+
+
+def _number(stream: Column, at, digits: int = 2) -> Column:
+    return F.conv(F.substr(stream, F.lit(at) if isinstance(at, int) else at, F.lit(digits)), 16, 10).cast("int")
+
+
+def _pick(options: list[str], number: Column) -> Column:
+    return F.element_at(F.array(*map(F.lit, options)), (number % len(options) + 1).cast("int"))
+
+
+def _like(text: Column, stream: Column) -> Column:
+    """text with each letter and digit replaced by another of its class; other characters stay."""
+    hexadecimal = text.rlike("^[0-9a-f]+$")
+
+    def other(c: Column, i: Column) -> Column:
+        v = _number(stream, ((i % 128) * 2 + 1).cast("int"))
+        of = lambda chars: F.substr(F.lit(chars), (v % len(chars) + 1).cast("int"), F.lit(1))
+        return (
+            F.when(c.rlike("[0-9]"), of("0123456789"))
+            .when(c.rlike("[a-z]"), F.when(hexadecimal, of("abcdef")).otherwise(of("abcdefghijklmnopqrstuvwxyz")))
+            .when(c.rlike("[A-Z]"), of("ABCDEFGHIJKLMNOPQRSTUVWXYZ"))
+            .when(c.rlike(r"\p{IsCyrillic}"), of(_CYRILLIC))
+            .when(c.rlike(r"\p{IsGreek}"), of(_GREEK))
+            .when(c.rlike(r"\p{IsLatin}"), of(_ACCENTED))
+            .otherwise(c)
+        )
+
+    return F.array_join(F.transform(F.split(text, ""), other), "")
+
+
+def stand_in(key: str, kind: Column, entity: Column, attempt: Column) -> Column:
+    """The surrogate's canonical form, for an entity's canonical form."""
+    s = _stream(key, kind, entity, attempt)
+    more = F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(200), F.greatest(attempt - 1, F.lit(0)))
+    email = F.concat(_like(F.regexp_extract(entity, "^(.*)@", 1), s), more, F.lit("@mail"), (_number(s, 250) % 100).cast("string"), F.lit(".example.org"))
+    ip = F.concat_ws(".", *[(_number(s, 2 * i + 1) % (256 if i else 223) + (0 if i else 1)).cast("string") for i in range(4)])
+    digits = _like(entity, s)
+    phone = F.concat(F.lit("1"), F.substr(digits, F.lit(2), F.length(digits)))
+    sex, bare = F.substring_index(entity, ":", 1), F.substring_index(entity, ":", -1)
+    script = _script(bare)
+    first = F.lit(None).cast("string")
+    last = _pick(SURNAMES["latin"], _number(s, 5, 4))
+    for (g, w), names in GIVEN.items():
+        first = F.when((sex == g) & (script == w), _pick(names, _number(s, 1, 4))).otherwise(first)
+    last = F.when(script == "cyrillic", _pick(SURNAMES["cyrillic"], _number(s, 5, 4))).otherwise(last)
+    second = F.when(script == "cyrillic", _pick(SURNAMES["cyrillic"], _number(s, 9, 4))).otherwise(_pick(SURNAMES["latin"], _number(s, 9, 4)))
+    last = F.when(attempt > 0, F.concat_ws("-", last, second)).otherwise(last)
+    last = F.when(attempt > 3, F.concat(last, F.lit("-"), F.initcap(F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(100), attempt)))).otherwise(last)
+    name = F.concat(sex, F.lit(":"), F.when(bare.contains(" "), F.concat_ws(" ", first, last)).otherwise(last))
+    return F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "phone", phone).when(kind == "card", digits).when(kind == "name", name).otherwise(digits)
+
+
+def dressed(kind: Column, m: Column, other: Column) -> Column:
+    """A surrogate's canonical form in the outer form of the mention m."""
+    step = lambda a, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(a["out"], F.substr(other, a["k"], F.lit(1))).alias("out"), (a["k"] + 1).alias("k"))).otherwise(F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k")))
+    grouped = F.aggregate(F.split(m, ""), F.struct(F.lit("").alias("out"), F.lit(1).alias("k")), step)["out"]
+    title = F.substr(m, F.lit(1), F.length(m) - F.length(_untitled(m)))
+    cased = F.when((F.upper(m) == m) & (F.lower(m) != m), F.upper(other)).otherwise(other)
+    return F.when(kind.isin("phone", "card"), grouped).when(kind == "name", F.concat(title, F.substring_index(other, ":", -1))).otherwise(cased)
+
+
+def mentions(text: Column) -> Column:
+    return F.when(text.rlike(_HINT), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).otherwise(F.array().cast("array<string>"))
+
+
+def entities(docs: DataFrame) -> DataFrame:
+    """(id, kind, entity), distinct: who is named where."""
+    each = docs.select("id", F.explode(mentions(F.col("text"))).alias("m")).withColumn("kind", kind_of(F.col("m")))
+    return each.select("id", "kind", canonical(F.col("kind"), F.col("m")).alias("entity")).distinct()
+
+
+def collisions(named: DataFrame, key: str, most: int = 64) -> DataFrame:
+    """(kind, entity, attempt) of the entities whose first surrogate would not be distinct. named: kind, entity."""
+    now = Kept(named.select("kind", "entity").distinct().withColumn("attempt", F.lit(0)))
+    for _ in range(most):
+        made = now.df.withColumn("other", stand_in(key, F.col("kind"), F.col("entity"), F.col("attempt")))
+        shared = made.groupBy("kind", "other").agg(F.min("entity").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+        twice = made.join(shared, ["kind", "other"]).where("entity <> first").select("kind", "entity")
+        real = made.join(now.df.select("kind", F.col("entity").alias("other")), ["kind", "other"], "left_semi").select("kind", "entity")
+        bad = keep(twice.union(real).distinct().withColumn("again", F.lit(1)))
+        if bad.isEmpty():
+            return now.df.where("attempt > 0")
+        after = Kept(now.df.join(bad, ["kind", "entity"], "left").select("kind", "entity", (F.col("attempt") + F.coalesce("again", F.lit(0))).alias("attempt")))
+        now.drop()
+        now = after
+    raise RuntimeError(f"some surrogates are still not distinct after {most} attempts")
+
+
+def pseudonymise(docs: DataFrame, key: str, id_col: str = "doc_id", count_as: str | None = None, broadcast_rows: int = 100_000) -> DataFrame:
+    """docs with surrogates in `text`; all their columns, and the number of mentions as `count_as`."""
+    named = entities(docs.select(F.col(id_col).alias("id"), "text"))
+    again = keep(collisions(named, key))
+    source, attempts = docs, F.create_map().cast("map<string,int>")
+    if not again.isEmpty():
+        by_doc = named.join(again, ["kind", "entity"]).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws("|", "kind", "entity"), "attempt"))).alias("__attempts"))
+        by_doc = keep(by_doc.withColumnRenamed("id", "__id"))
+        small = by_doc.count() <= broadcast_rows
+        source = docs.join(F.broadcast(by_doc) if small else by_doc, docs[id_col] == by_doc["__id"], "left")
+        attempts = F.coalesce("__attempts", attempts)
+
+    def surrogate(m: Column) -> Column:
+        kind = kind_of(m)
+        entity = canonical(kind, m)
+        attempt = F.coalesce(F.element_at(attempts, F.concat_ws("|", kind, entity)), F.lit(0))
+        return dressed(kind, m, stand_in(key, kind, entity, attempt))
+
+    found = F.col("__mentions")
+    gaps = F.split(F.col("text"), PATTERN)
+    parts = F.flatten(F.zip_with(gaps, F.transform(found, surrogate), lambda a, b: F.array(a, F.coalesce(b, F.lit("")))))
+    text = F.when(F.size(found) > 0, F.array_join(parts, "")).otherwise(F.col("text"))
+    out = [text.alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns]
+    if count_as:
+        out.append(F.greatest(F.size(found), F.lit(0)).cast("long").alias(count_as))
+    return source.withColumn("__mentions", mentions(F.col("text"))).select(*out)

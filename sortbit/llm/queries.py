@@ -5,11 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, language_id, license_scan, line_dedup, near_dedup, packing, quality_rules, token_output, toxicity
+from . import decontaminate, language_id, license_scan, line_dedup, near_dedup, packing, pii, quality_rules, token_output, toxicity
 from .base import fold_is_held_out, read
 
 #: A text is taken as toxic from this score on.
 TOXIC_FROM = 0.3
+#: The key of the surrogates in the query; a real run gives its own secret.
+PII_KEY = "surrogates-1"
 
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,6 +20,11 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", fold_is_held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    return pii.pseudonymise(docs, PII_KEY, count_as="n_entities")
+
+
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     scored = toxicity.score(docs, toxicity.fit(docs, read(spark, sf_dir, "labels")))
@@ -107,6 +114,7 @@ QUERIES = {
     "op2_license_scan": op2_license_scan,
     "op3_token_output": op3_token_output,
     "op5_language_id": op5_language_id,
+    "op6_pii": op6_pii,
     "op7_toxicity": op7_toxicity,
     "op4_line_dedup": op4_line_dedup,
     "op8_quality_rules": op8_quality_rules,
