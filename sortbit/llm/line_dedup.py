@@ -75,14 +75,15 @@ def repeated_blocks(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     while length < longest:
         # classes of blocks of length + 1 .. 2 * length lines, from two overlapping blocks of `length` lines
         blocks = level.df
-        for way, start in (("forward", 0), ("back", -1)):
-            w = F.col(way)
-            some = repeated.where((w > length) & (w <= 2 * length)).select("id", w.alias("w"), (F.col("line") + start * (w - 1)).alias("line"))
-            left = blocks.select("id", "line", F.col("position"), F.col("name").alias("left"))
-            right = blocks.select("id", (F.col("line") + length).alias("end"), F.col("name").alias("right"))
-            pairs = some.join(left, ["id", "line"]).withColumn("end", F.col("line") + F.col("w")).join(right, ["id", "end"])
-            named = _named(pairs.select("id", "line", "w", "position", "left", "right"), ["w", "left", "right"], "name")
-            parts.append(named.where("name < position").select("id", F.col("line").alias("first_line"), (F.col("line") + F.col("w") - 1).alias("last_line")))
+        some = [repeated.select("id", F.col(way).alias("w"), (F.col("line") + start * (F.col(way) - 1)).alias("line")) for way, start in (("forward", 0), ("back", -1))]
+        some = some[0].union(some[1]).where((F.col("w") > length) & (F.col("w") <= 2 * length)).distinct()
+        left = blocks.select("id", "line", "position", F.col("name").alias("left"))
+        right = blocks.select("id", (F.col("line") + length).alias("end"), F.col("name").alias("right"))
+        pairs = some.join(left, ["id", "line"]).withColumn("end", F.col("line") + F.col("w")).join(right, ["id", "end"])
+        pairs = Kept(pairs.select("id", "line", "w", "position", "left", "right"))
+        named = _named(pairs.df, ["w", "left", "right"], "name")
+        parts.append(keep(named.where("name < position").select("id", F.col("line").alias("first_line"), (F.col("line") + F.col("w") - 1).alias("last_line"))))
+        pairs.drop()
         if 2 * length >= longest:
             break
         ahead = W.partitionBy("id").orderBy("line").rangeBetween(length, length)
@@ -121,7 +122,8 @@ def deduplicate_lines(docs: DataFrame, min_chars: int = MIN_CHARS, id_col: str =
     plain = docs.select(F.col(id_col).cast("long").alias("id"), "text")
     found = keep(kept_ranges(repeated_blocks(plain, min_chars)))
     gone = found.select(F.col("id").alias("__id"), F.col("gone").alias("__gone"))
-    joined = docs.join(gone, docs[id_col].cast("long") == gone["__id"], "left")
+    # the ranges grow with the corpus, so the join is a merge at every size
+    joined = docs.join(gone.hint("merge"), docs[id_col].cast("long") == gone["__id"], "left")
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(without(F.split("text", "\n"), F.col("__gone")), "\n"))
     out = [text.alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns]
     if count_as:
