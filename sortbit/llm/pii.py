@@ -39,33 +39,42 @@ SURNAMES = {
 }
 
 _WORD = r"\p{Lu}[\p{L}\p{M}'’\-]+"
-_TITLED = rf"\b(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? {_WORD}(?: {_WORD})?"
-_KNOWN = rf"\b(?:{'|'.join(dict.fromkeys(n for ns in GIVEN.values() for n in ns))}) {_WORD}"
+_TITLED = rf"(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? {_WORD}(?: {_WORD})?"
+_KNOWN = rf"(?:{'|'.join(dict.fromkeys(n for ns in GIVEN.values() for n in ns))}) {_WORD}"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
-PATTERN = "|".join(
-    [
-        r"[\p{L}\p{N}][\p{L}\p{M}\p{N}._%+\-]{0,63}@[A-Za-z0-9\-]{1,63}(?:\.[A-Za-z0-9\-]{1,63})*\.[A-Za-z]{2,24}",
-        rf"(?<![\d.]){_OCTET}(?:\.{_OCTET}){{3}}(?!\.?\d)",
-        r"(?<![\d+])\+\d{1,3}[ \-]?\(?\d{2,4}\)?[ \-]?\d{3}[ \-]?\d{4}(?!\d)",
-        r"(?<![\p{L}\d])\d(?:[ \-]?\d){12,18}(?![\p{L}\d])",
-        r"(?<![\p{L}\d])(?=[A-Fa-f]*\d)[0-9A-Fa-f]{32,128}(?![\p{L}\d])",
-        r"(?<=(?i:token|secret|password|passwd|api_key|apikey) ?[=:] ?\"?)(?=[A-Za-z+/_\-]*\d)[0-9A-Za-z+/_\-]{8,128}",
-        rf"(?=\p{{Lu}}|г)(?:{_TITLED}|{_KNOWN})",
-    ]
+_SETTING = r"(?:token|TOKEN|Token|secret|SECRET|Secret|password|PASSWORD|Password|passwd|api_key|API_KEY|apikey|APIKEY) ?[=:] ?\"?"
+#: Every entity begins where no letter or digit stands before, so most places fail at once.
+PATTERN = (
+    r"(?<![\p{L}\p{N}])(?:"
+    + "|".join(
+        [
+            r"[\p{L}\p{N}][\p{L}\p{M}\p{N}._%+\-]{0,63}+@[A-Za-z0-9\-]{1,63}(?:\.[A-Za-z0-9\-]{1,63})*\.[A-Za-z]{2,24}",
+            rf"{_OCTET}(?:\.{_OCTET}){{3}}(?!\.?\d)",
+            r"\+\d{1,3}[ \-]?\(?\d{2,4}\)?[ \-]?\d{3}[ \-]?\d{4}(?!\d)",
+            r"\d(?:[ \-]?\d){12,18}(?![\p{L}\d])",
+            r"[0-9A-Fa-f]{32,128}(?<=\d[A-Fa-f]{0,31})(?![\p{L}\d])",
+            rf"{_SETTING}(?=[A-Za-z+/_\-]{{0,127}}\d)[0-9A-Za-z+/_\-]{{8,128}}",
+            rf"(?=\p{{Lu}}|г)(?:{_TITLED}|{_KNOWN})",
+        ]
+    )
+    + ")"
 )
-#: A text without any of these has no entity; it spares such texts the whole pattern.
-_HINT = r"[@\d]|" + r"\b(?:" + "|".join([t for ts in TITLES.values() for t in ts] + list(dict.fromkeys(n for ns in GIVEN.values() for n in ns))) + r")\b"
 
 _ACCENTED, _CYRILLIC, _GREEK = "àáâäçèéêëìíîïñòóôöùúûü", "абвгдежзиклмнопрстуфхцчшэюя", "αβγδεζηθικλμνξοπρστυφχψω"
 
 
+def _let(value: Column, f) -> Column:
+    """f(value), with value evaluated once."""
+    return F.element_at(F.transform(F.array(value), f), 1)
+
+
 def kind_of(m: Column) -> Column:
     return (
         F.when(m.contains("@"), "email")
         .when(m.startswith("+"), "phone")
         .when(m.rlike(r"^[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+$"), "ip")
         .when(m.rlike(r"^[0-9][0-9 \-]+$") & (F.length(F.regexp_replace(m, "[^0-9]", "")) < 20), "card")
-        .when(m.rlike(r"^[0-9A-Za-z+/_\-]+$"), "secret")
+        .when(m.rlike(rf"^(?:{_SETTING})?[0-9A-Za-z+/_\-]+$"), "secret")
         .otherwise("name")
     )
 
@@ -74,9 +83,13 @@ def _untitled(m: Column) -> Column:
     return F.regexp_replace(m, rf"^(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? ", "")
 
 
+def _unset(m: Column) -> Column:
+    return F.regexp_replace(m, f"^{_SETTING}", "")
+
+
 def canonical(kind: Column, m: Column) -> Column:
     """What two mentions of one entity share."""
-    return F.when(kind.isin("phone", "card"), F.regexp_replace(m, "[^0-9]", "")).when(kind == "name", F.concat(gender(m), F.lit(":"), _untitled(m))).otherwise(F.lower(m))
+    return F.when(kind.isin("phone", "card"), F.regexp_replace(m, "[^0-9]", "")).when(kind == "secret", F.lower(_unset(m))).when(kind == "name", F.concat(gender(m), F.lit(":"), _untitled(m))).otherwise(F.lower(m))
 
 
 def gender(m: Column) -> Column:
@@ -105,14 +118,17 @@ def _pick(options: list[str], number: Column) -> Column:
 
 def _like(text: Column, stream: Column) -> Column:
     """text with each letter and digit replaced by another of its class; other characters stay."""
-    hexadecimal = text.rlike("^[0-9a-f]+$")
+    hexadecimal = ~text.rlike("[^0-9a-f]")
 
     def other(c: Column, i: Column) -> Column:
-        v = _number(stream, ((i % 128) * 2 + 1).cast("int"))
+        return _let(F.struct(c.alias("c"), _number(stream, ((i % 128) * 2 + 1).cast("int")).alias("v"), hexadecimal.alias("hex")), chosen)
+
+    def chosen(x: Column) -> Column:
+        c, v = x["c"], x["v"]
         of = lambda chars: F.substr(F.lit(chars), (v % len(chars) + 1).cast("int"), F.lit(1))
         return (
             F.when(c.rlike("[0-9]"), of("0123456789"))
-            .when(c.rlike("[a-z]"), F.when(hexadecimal, of("abcdef")).otherwise(of("abcdefghijklmnopqrstuvwxyz")))
+            .when(c.rlike("[a-z]"), F.when(x["hex"], of("abcdef")).otherwise(of("abcdefghijklmnopqrstuvwxyz")))
             .when(c.rlike("[A-Z]"), of("ABCDEFGHIJKLMNOPQRSTUVWXYZ"))
             .when(c.rlike(r"\p{IsCyrillic}"), of(_CYRILLIC))
             .when(c.rlike(r"\p{IsGreek}"), of(_GREEK))
@@ -125,24 +141,28 @@ def _like(text: Column, stream: Column) -> Column:
 
 def stand_in(key: str, kind: Column, entity: Column, attempt: Column) -> Column:
     """The surrogate's canonical form, for an entity's canonical form."""
-    s = _stream(key, kind, entity, attempt)
+    bound = F.struct(kind.alias("kind"), entity.alias("entity"), attempt.alias("attempt"), _stream(key, kind, entity, attempt).alias("s"))
+    return _let(bound, lambda x: _made(x["kind"], x["entity"], x["attempt"], x["s"]))
+
+
+def _made(kind: Column, entity: Column, attempt: Column, s: Column) -> Column:
     more = F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(200), F.greatest(attempt - 1, F.lit(0)))
     email = F.concat(_like(F.regexp_extract(entity, "^(.*)@", 1), s), more, F.lit("@mail"), (_number(s, 250) % 100).cast("string"), F.lit(".example.org"))
     ip = F.concat_ws(".", *[(_number(s, 2 * i + 1) % (256 if i else 223) + (0 if i else 1)).cast("string") for i in range(4)])
-    digits = _like(entity, s)
-    phone = F.concat(F.lit("1"), F.substr(digits, F.lit(2), F.length(digits)))
-    sex, bare = F.substring_index(entity, ":", 1), F.substring_index(entity, ":", -1)
-    script = _script(bare)
+    phone = F.concat(F.lit("1"), F.substr(_like(entity, s), F.lit(2), F.length(entity)))
+    return F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "phone", phone).when(kind == "name", _let(F.struct(F.substring_index(entity, ":", 1).alias("sex"), F.substring_index(entity, ":", -1).alias("bare"), attempt.alias("attempt"), s.alias("s")), _made_name)).otherwise(_like(entity, s))
+
+
+def _made_name(x: Column) -> Column:
+    sex, bare, attempt, s = x["sex"], x["bare"], x["attempt"], x["s"]
+    cyrillic = _script(bare) == "cyrillic"
+    surname = lambda at: F.when(cyrillic, _pick(SURNAMES["cyrillic"], _number(s, at, 4))).otherwise(_pick(SURNAMES["latin"], _number(s, at, 4)))
     first = F.lit(None).cast("string")
-    last = _pick(SURNAMES["latin"], _number(s, 5, 4))
-    for (g, w), names in GIVEN.items():
-        first = F.when((sex == g) & (script == w), _pick(names, _number(s, 1, 4))).otherwise(first)
-    last = F.when(script == "cyrillic", _pick(SURNAMES["cyrillic"], _number(s, 5, 4))).otherwise(last)
-    second = F.when(script == "cyrillic", _pick(SURNAMES["cyrillic"], _number(s, 9, 4))).otherwise(_pick(SURNAMES["latin"], _number(s, 9, 4)))
-    last = F.when(attempt > 0, F.concat_ws("-", last, second)).otherwise(last)
-    last = F.when(attempt > 3, F.concat(last, F.lit("-"), F.initcap(F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(100), attempt)))).otherwise(last)
-    name = F.concat(sex, F.lit(":"), F.when(bare.contains(" "), F.concat_ws(" ", first, last)).otherwise(last))
-    return F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "phone", phone).when(kind == "card", digits).when(kind == "name", name).otherwise(digits)
+    for (g, script), names in GIVEN.items():
+        first = F.when((sex == g) & (cyrillic == (script == "cyrillic")), _pick(names, _number(s, 1, 4))).otherwise(first)
+    extra = F.when(attempt > 3, F.concat(F.lit("-"), F.initcap(F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(100), attempt)))).otherwise("")
+    last = F.concat(surname(5), F.when(attempt > 0, F.concat(F.lit("-"), surname(9))).otherwise(""), extra)
+    return F.concat(sex, F.lit(":"), F.when(bare.contains(" "), F.concat_ws(" ", first, last)).otherwise(last))
 
 
 def dressed(kind: Column, m: Column, other: Column) -> Column:
@@ -150,12 +170,14 @@ def dressed(kind: Column, m: Column, other: Column) -> Column:
     step = lambda a, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(a["out"], F.substr(other, a["k"], F.lit(1))).alias("out"), (a["k"] + 1).alias("k"))).otherwise(F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k")))
     grouped = F.aggregate(F.split(m, ""), F.struct(F.lit("").alias("out"), F.lit(1).alias("k")), step)["out"]
     title = F.substr(m, F.lit(1), F.length(m) - F.length(_untitled(m)))
-    cased = F.when((F.upper(m) == m) & (F.lower(m) != m), F.upper(other)).otherwise(other)
+    bare = F.when(kind == "secret", _unset(m)).otherwise(m)
+    cased = F.when((F.upper(bare) == bare) & (F.lower(bare) != bare), F.upper(other)).otherwise(other)
+    cased = F.concat(F.substr(m, F.lit(1), F.length(m) - F.length(bare)), cased)
     return F.when(kind.isin("phone", "card"), grouped).when(kind == "name", F.concat(title, F.substring_index(other, ":", -1))).otherwise(cased)
 
 
 def mentions(text: Column) -> Column:
-    return F.when(text.rlike(_HINT), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).otherwise(F.array().cast("array<string>"))
+    return F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))
 
 
 def entities(docs: DataFrame) -> DataFrame:
@@ -194,10 +216,11 @@ def pseudonymise(docs: DataFrame, key: str, id_col: str = "doc_id", count_as: st
         attempts = F.coalesce("__attempts", attempts)
 
     def surrogate(m: Column) -> Column:
-        kind = kind_of(m)
-        entity = canonical(kind, m)
-        attempt = F.coalesce(F.element_at(attempts, F.concat_ws("|", kind, entity)), F.lit(0))
-        return dressed(kind, m, stand_in(key, kind, entity, attempt))
+        known = lambda x: F.struct(x["m"], x["kind"], canonical(x["kind"], x["m"]).alias("entity"))
+        attempt = lambda x: F.coalesce(F.element_at(attempts, F.concat_ws("|", x["kind"], x["entity"])), F.lit(0))
+        made = lambda x: F.struct(x["m"], x["kind"], stand_in(key, x["kind"], x["entity"], attempt(x)).alias("other"))
+        bound = F.struct(m.alias("m"), kind_of(m).alias("kind"))
+        return _let(_let(_let(bound, known), made), lambda x: dressed(x["kind"], x["m"], x["other"]))
 
     found = F.col("__mentions")
     gaps = F.split(F.col("text"), PATTERN)
