@@ -36,7 +36,6 @@ SPELLINGS = [
 ]
 SIGNS = ("‘’“”–—…© ", "''\"\"--.  ")
 
-_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: A line that opens with a copyright statement.
 COPYRIGHT_LINE = r"(^|\n)[^a-z0-9\n]*(copyright|\(c\)|all rights reserved)[^\n]*"
 #: ASCII that is neither letter nor digit.
@@ -79,13 +78,14 @@ KNOWN = [
 
 def canonical(text: Column) -> Column:
     """The form under which texts count as equal: plain lower-case words, one blank before and after each."""
-    x = F.translate(text, *SIGNS)
-    x = F.translate(x, _UPPER, _LOWER)
+    x = F.when(text.rlike(f"[{SIGNS[0]}]"), F.translate(text, *SIGNS)).otherwise(text)
+    x = F.lower(x)
     x = F.when(x.contains("copyright") | x.contains("(c)") | x.contains("all rights"), F.regexp_replace(x, COPYRIGHT_LINE, "$1")).otherwise(x)
-    x = F.concat(F.lit(" "), F.regexp_replace(x, PLAIN_GAP, "  "), F.lit(" "))
+    x = F.concat(F.lit(" "), F.trim(F.regexp_replace(x, PLAIN_GAP, " ")), F.lit(" "))
     for old, new in SPELLINGS:
-        x = F.replace(x, F.lit(f" {old} "), F.lit(f" {new} "))
-    return F.trim(F.regexp_replace(x, " +", " "))
+        old, new = F.lit(f" {old} "), F.lit(f" {new} ")
+        x = F.replace(F.replace(x, old, new), old, new)  # twice, as neighbours share a blank
+    return F.trim(x)
 
 
 def digest(text: Column) -> Column:

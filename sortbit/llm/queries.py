@@ -67,12 +67,12 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def license_sql() -> str:
     """The scan with the same fixed values, in DuckDB's words."""
     quoted = lambda x: "'" + x.replace("'", "''") + "'"
-    x = f"translate(translate(text, {quoted(license_scan.SIGNS[0])}, {quoted(license_scan.SIGNS[1])}), {quoted(license_scan._UPPER)}, {quoted(license_scan._LOWER)})"
+    x = f"lower(translate(text, {quoted(license_scan.SIGNS[0])}, {quoted(license_scan.SIGNS[1])}))"
     x = f"regexp_replace({x}, {quoted(license_scan.COPYRIGHT_LINE)}, '\\1', 'g')"
-    x = f"' ' || regexp_replace({x}, {quoted(license_scan.PLAIN_GAP)}, '  ', 'g') || ' '"
-    for old, new in license_scan.SPELLINGS:
+    x = f"' ' || trim(regexp_replace({x}, {quoted(license_scan.PLAIN_GAP)}, ' ', 'g')) || ' '"
+    for old, new in 2 * license_scan.SPELLINGS:
         x = f"replace({x}, ' {old} ', ' {new} ')"
-    form = f"trim(regexp_replace({x}, ' +', ' ', 'g'))"
+    form = f"trim({x})"
     known = ", ".join(f"({quoted(a)}, {quoted(b)})" for a, b in license_scan.KNOWN)
     return f"""
         WITH known AS (
