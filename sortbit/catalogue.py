@@ -5,10 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from . import codes, measure, profile
+from .index import IndexSpec, build_index
 from .io import read_table
+from .predicate import Eq, Not, Range, Xor, parse
+from .roworder import Lexicographic
 from .words import to_words
 from .workloads import PROJECTIONS, whole
 
@@ -205,3 +209,114 @@ for _k in (1, 2, 3, 4):
     register(f"codes_alpha_k{_k}", _codes(_k, "alpha"), _codes_sql(_k, False))
     if _k > 1:
         register(f"codes_gray_k{_k}", _codes(_k, "gray"), _codes_sql(_k, True))
+
+
+# ---------------------------------------------------------------- payloads and queries through the index
+
+
+def _index(spark: SparkSession, sf_dir: str, name: str, spec: IndexSpec, order: str = "desc"):
+    p = PROJECTIONS[name]
+    return build_index(p.load(spark, sf_dir), p.names, p.order(order), spec)
+
+
+def _payload_words(name: str, codec: str = "marker32") -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return _index(spark, sf_dir, name, IndexSpec(codec=codec, block_rows=1 << 30)).sizes()
+
+    return run
+
+
+for _p in ("p_gen", "p_frequent"):
+    for _c, _w in (("marker32", 32), ("flag31", 31)):
+        register(f"payload_{_c}_{_p}", _payload_words(_p, _c), f"{bits_sql(_p, 'desc')}, {sizes_sql(_w)} SELECT attr, count(*)::BIGINT AS n_bitmaps, sum(c_words)::BIGINT AS stored_words FROM size GROUP BY attr")
+    register(f"payload_runlength_{_p}", _payload_words(_p, "runlength"))
+    register(f"payload_bytealigned_{_p}", _payload_words(_p, "bytealigned"))
+    register(f"payload_deflate_{_p}", _payload_words(_p, "deflate"))
+    register(f"payload_plain_{_p}", _payload_words(_p, "plain"), f"{bits_sql(_p, 'desc')}, {sizes_sql(32)} SELECT attr, count(*)::BIGINT AS n_bitmaps, sum(n_words)::BIGINT AS stored_words FROM size GROUP BY attr")
+    register(f"payload_poslist_{_p}", _payload_words(_p, "poslist"), f"{bits_sql(_p, 'desc')} SELECT attr, count(DISTINCT bitmap_id)::BIGINT AS n_bitmaps, count(*)::BIGINT AS stored_words FROM bit GROUP BY attr")
+
+#: Name: projection, predicate for the index, the same for SQL.
+PREDICATES = {
+    "and": ("p_gen", "l_linenumber = 3 AND l_discount = 0.05", None),
+    "or": ("p_gen", "l_linenumber = 3 OR l_discount = 0.05", None),
+    "andnot": ("p_gen", "l_linenumber = 3 AND NOT l_discount = 0.05", None),
+    "not": ("p_gen", "NOT l_linenumber = 3", None),
+    "xor": ("p_gen", Xor(Eq("l_linenumber", 3), Eq("l_discount", 0.05)), "(l_linenumber = 3) <> (l_discount = 0.05)"),
+    "xnor": ("p_gen", Not(Xor(Eq("l_linenumber", 3), Eq("l_discount", 0.05))), "(l_linenumber = 3) = (l_discount = 0.05)"),
+    "in": ("p_frequent", "l_suppkey IN (3, 14, 15, 92, 65) AND l_returnflag = 'R'", None),
+    "range": ("p_gen", "l_partkey BETWEEN 100 AND 250 AND l_discount <= 0.02", None),
+    "miss": ("p_gen", "l_partkey = -5", None),
+}
+
+
+def _fetch(name: str, predicate, spec: IndexSpec) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        found = _index(spark, sf_dir, name, spec).fetch(parse(predicate) if isinstance(predicate, str) else predicate)
+        return found.groupBy(*PROJECTIONS[name].names).agg(F.count("*").alias("n"))
+
+    return run
+
+
+for _n, (_p, _pred, _sql) in PREDICATES.items():
+    for _k in (1, 2) if _n in ("and", "range", "not") else (1,):
+        _cols = ", ".join(PROJECTIONS[_p].names)
+        register(f"where_{_n}_k{_k}", _fetch(_p, _pred, IndexSpec(k=_k, block_rows=8192)), f"SELECT {_cols}, count(*)::BIGINT AS n FROM {PROJECTIONS[_p].table} WHERE {_sql or _pred} GROUP BY {_cols}")
+
+
+def _eq_partkey(k: int) -> Query:
+    """Twelve equality queries, the values at evenly spaced ranks of frequency, counted from the index alone."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        index = _index(spark, sf_dir, "p_gen", IndexSpec(k=k, block_rows=16384))
+        out = None
+        for v in pick_values(index.dicts["l_partkey"], 12):
+            one = index.count_by_block(Eq("l_partkey", v)).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).select(F.lit(v).cast("bigint").alias("l_partkey"), "n")
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    return run
+
+
+def pick_values(codes_: DataFrame, n: int) -> list:
+    """n values at evenly spaced ranks of (frequency, value): the first of each of n equal parts."""
+    tiles = codes_.select("value", F.ntile(n).over(Window.orderBy("freq", "value")).alias("tile"), F.struct("freq", "value").alias("rank"))
+    return [r[0] for r in tiles.groupBy("tile").agg(F.min("rank").alias("rank")).orderBy("tile").select("rank.value").collect()]
+
+
+_TWELVE = """WITH h AS (SELECT l_partkey, count(*) AS n FROM lineitem GROUP BY 1), t AS (SELECT *, ntile(12) OVER (ORDER BY n, l_partkey) AS tile FROM h)
+    SELECT l_partkey, n::BIGINT AS n FROM t QUALIFY row_number() OVER (PARTITION BY tile ORDER BY n, l_partkey) = 1"""
+register("eq_partkey_12_k1", _eq_partkey(1), _TWELVE)
+register("eq_partkey_12_k2", _eq_partkey(2), _TWELVE)
+register("group_count_returnflag", lambda spark, sf_dir: _index(spark, sf_dir, "p_frequent", IndexSpec(block_rows=8192)).group_count("l_returnflag"), "SELECT l_returnflag AS value, count(*)::BIGINT AS n FROM lineitem GROUP BY l_returnflag")
+
+
+def _join_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Facts indexed by an attribute of a joined dimension."""
+    t = lambda n: read_table(spark, sf_dir, n)
+    star = t("orders").join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(F.broadcast(t("nation")), F.col("c_nationkey") == F.col("n_nationkey")).join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey"))
+    star = star.select("o_orderkey", "r_name", "o_orderpriority")
+    index = build_index(star, ["r_name", "o_orderpriority"], Lexicographic(("r_name", "o_orderpriority")), IndexSpec(block_rows=8192))
+    return index.fetch(parse("r_name = 'ASIA' AND NOT o_orderpriority = '1-URGENT'")).groupBy("o_orderpriority").agg(F.count("*").alias("n"))
+
+
+register("join_index_region", _join_index, """SELECT o_orderpriority, count(*)::BIGINT AS n FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey
+    JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA' AND o_orderpriority <> '1-URGENT' GROUP BY 1""")
+
+
+def _bins(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Binned bitmaps: the bins that meet a range are read, then the facts are checked again."""
+    df = codes.bin_values(read_table(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice"), "o_totalprice", 0, 10000.0, "bin")
+    index = build_index(df, ["bin"], Lexicographic(("bin",)), IndexSpec(block_rows=8192))
+    return index.fetch(Range("bin", 2, 7)).where("o_totalprice between 25000 and 77000").select("o_orderkey", "o_totalprice")
+
+
+register("bin_price", _bins, "SELECT o_orderkey, o_totalprice FROM orders WHERE o_totalprice BETWEEN 25000 AND 77000")
+
+
+def _hierarchy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df = read_table(spark, sf_dir, "nation").join(read_table(spark, sf_dir, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    return codes.assign_hierarchy(df, ["r_name", "n_name"])
+
+
+register("hierarchy_nation", _hierarchy, """SELECT r_name, n_name, dense_rank() OVER (ORDER BY r_name) - 1 AS code_1, dense_rank() OVER (PARTITION BY r_name ORDER BY n_name) - 1 AS code_2
+    FROM nation JOIN region ON n_regionkey = r_regionkey""")
