@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from . import codes, measure, profile
+from . import codes, datagen, measure, profile, stream
+from .advise import advise_order
 from .index import IndexSpec, build_index
-from .io import read_table
+from .io import flatten_pairs, materialise, read_flat, read_table, shared_dir
 from .predicate import Eq, Not, Range, Xor, parse
-from .roworder import Lexicographic
+from .roworder import GrayCode, Grouped, Lexicographic, Shuffled
 from .words import to_words
 from .workloads import PROJECTIONS, whole
 
@@ -320,3 +322,78 @@ def _hierarchy(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 register("hierarchy_nation", _hierarchy, """SELECT r_name, n_name, dense_rank() OVER (ORDER BY r_name) - 1 AS code_1, dense_rank() OVER (PARTITION BY r_name ORDER BY n_name) - 1 AS code_2
     FROM nation JOIN region ON n_regionkey = r_regionkey""")
+
+
+# ---------------------------------------------------------------- advice, generators, relations around the methods
+
+
+def _advice(name: str, strategy: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        p = PROJECTIONS[name]
+        order = advise_order(p.load(spark, sf_dir), p.names, strategy)
+        return spark.createDataFrame([(i, c) for i, c in enumerate(order)], "place bigint, attr string")
+
+    return run
+
+
+for _p in ("p_gen", "p_rare", "p_frequent"):
+    for _s in ("asc", "desc"):
+        _cards = " UNION ALL ".join(f"SELECT '{c}' AS attr, count(DISTINCT {c}) AS n FROM {PROJECTIONS[_p].table}" for c in PROJECTIONS[_p].names)
+        _by = "n, attr" if _s == "asc" else "n DESC, attr DESC"
+        register(f"advise_{_s}_{_p}", _advice(_p, _s), f"SELECT row_number() OVER (ORDER BY {_by}) - 1 AS place, attr FROM ({_cards})")
+    for _s in ("frequency", "model"):
+        register(f"advise_{_s}_{_p}", _advice(_p, _s))
+
+
+def _synthetic(kind: str, d: int, parameter: float, k: int = 2, n: int = 5000) -> Query:
+    """(row_order, c_words) of a synthetic table under shuffle, grouping, lexicographic order, Gray order and Gray-coded lexicographic order."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        if kind == "zipf":
+            df, cols = datagen.zipf_table(spark, n, d, parameter), [f"z{j}" for j in range(1, d + 1)]
+        else:
+            df = datagen.add_dependent(datagen.uniform_table(spark, n, d, int(parameter)), [f"a{j}" for j in range(1, d + 1)], d)
+            cols = datagen.permute_columns([f"{x}{j}" for x in "ab" for j in range(1, d + 1)])
+        df = materialise(df)
+        out = None
+        for name, order, allocation in (("shuffle", Shuffled((F.col("id"),)), "alpha"), ("grouped", Grouped(tuple(cols)), "alpha"), ("lex", Lexicographic(tuple(cols)), "alpha"), ("gray", GrayCode(tuple(cols), k), "alpha"), ("lexgray", Lexicographic(tuple(cols)), "gray")):
+            one = measure.index_words(measure.bitmap_sizes(df, order, cols, k, allocation)).where("attr = 'total'").select(F.lit(name).alias("row_order"), "c_words")
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    return run
+
+
+register("gain_uniform_d1", _synthetic("uniform", 1, 1))
+register("gain_uniform_d2", _synthetic("uniform", 2, 1))
+register("gain_zipf_d1_s2", _synthetic("zipf", 1, 2.0))
+register("gain_zipf_d2_s2", _synthetic("zipf", 2, 2.0))
+register("gain_zipf_d2_s05", _synthetic("zipf", 2, 0.5))
+
+
+def _flat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The source as a delimited file, read back and profiled."""
+    df = read_table(spark, sf_dir, "nation")
+    path = f"{shared_dir(spark)}/flat-{uuid.uuid4().hex}"
+    df.write.csv(path, sep="|")
+    return profile.value_counts(read_flat(spark, path, df.schema, "|"), "n_regionkey")
+
+
+register("flat_nation", _flat, "SELECT n_regionkey AS value, count(*)::BIGINT AS freq FROM nation GROUP BY 1")
+register("pairs_documents", lambda spark, sf_dir: flatten_pairs(read_table(spark, sf_dir, "documents").select("source", "text"), F.split("text", "\n"), "line").groupBy("source").agg(F.count("*").alias("facts"), F.countDistinct("line").alias("lines")),
+         "SELECT source, count(*)::BIGINT AS facts, count(DISTINCT line)::BIGINT AS lines FROM (SELECT source, unnest(string_split(text, chr(10))) AS line FROM documents) GROUP BY source")
+register("scan_and", lambda spark, sf_dir: read_table(spark, sf_dir, "lineitem").where("l_linenumber = 3 and l_discount = 0.05").groupBy("l_linenumber", "l_discount", "l_partkey").agg(F.count("*").alias("n")), _oracles["where_and_k1"])
+
+
+def _stream_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events appended batch by batch as sorted blocks, then asked through the compacted index."""
+    events = read_table(spark, sf_dir, "events").select("event_type", "user_id")
+    root = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    events.repartition(3).write.parquet(f"{root}/in")
+    source = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/in")
+    stream.append_blocks(source, ["event_type", "user_id"], f"{root}/out", f"{root}/state", IndexSpec(block_rows=2048)).awaitTermination()
+    index = stream.compact(spark, f"{root}/out", ["event_type", "user_id"], IndexSpec(block_rows=2048))
+    return index.fetch(Range("user_id", 10, 20)).groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+register("stream_blocks_events", _stream_blocks, "SELECT event_type, count(*)::BIGINT AS n FROM events WHERE user_id BETWEEN 10 AND 20 GROUP BY event_type")
