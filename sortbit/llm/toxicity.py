@@ -101,7 +101,7 @@ def _document_frequency(texts: list[str], widths: tuple[int, ...]) -> np.ndarray
     df = np.zeros(BUCKETS, np.int32)
     for batch in text_chunks(iter([pa.record_batch({"text": pa.array(texts, pa.large_string())})])):
         seen = [distinct(owner * np.int64(BUCKETS) + b) for b, owner, _ in buckets_by_text(batch.column(0), widths)]
-        df += np.bincount(distinct(np.concatenate(seen)) & (BUCKETS - 1), minlength=BUCKETS).astype(np.int32)
+        np.add.at(df, distinct(np.concatenate(seen)) & (BUCKETS - 1), 1)
     return df
 
 
@@ -111,11 +111,13 @@ def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7
         return ToxicityModel(widths)
     prior = float(np.clip(prior, 1e-3, 0.9))
     dp, du = _document_frequency(positive, widths), _document_frequency(unlabelled, widths)
-    p, u = (dp + 0.5) / (len(positive) + 1), (du + 0.5) / (len(unlabelled) + 1)
-    spread = np.sqrt(p * (1 - p) / len(positive) + u * (1 - u) / len(unlabelled))
-    weight = np.where((dp + du >= 3) & (np.abs(p - u) >= least_z * spread), np.abs(p - u) / spread * np.abs(np.log(p / u)), 0)
+    seen = np.flatnonzero(dp + du >= 3)
+    p, u = (dp[seen] + 0.5) / (len(positive) + 1), (du[seen] + 0.5) / (len(unlabelled) + 1)
+    del dp, du
+    z = np.abs(p - u) / np.sqrt(p * (1 - p) / len(positive) + u * (1 - u) / len(unlabelled))
+    weight = np.where(z >= least_z, z * np.abs(np.log(p / u)), 0)
     best = np.argsort(-weight, kind="stable")[:n_features]
-    model = ToxicityModel(tuple(widths), np.sort(best[weight[best] > 0]).astype(np.int64))
+    model = ToxicityModel(tuple(widths), np.sort(seen[best[weight[best] > 0]]).astype(np.int64))
     if not len(model.features):
         return ToxicityModel(widths)
 
