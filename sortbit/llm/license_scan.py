@@ -21,7 +21,7 @@ from .base import keep
 #: Known texts beyond this many bytes are joined by a shuffle instead of a broadcast.
 BROADCAST_BYTES = 8 << 20
 
-# Spellings that count as one, and typographic signs with their plain forms.
+# Spellings that count as one, and typographic signs that count as punctuation.
 SPELLINGS = [
     ("licence", "license"),
     ("licenced", "licensed"),
@@ -34,12 +34,12 @@ SPELLINGS = [
     ("organisation", "organization"),
     ("whilst", "while"),
 ]
-SIGNS = ("‘’“”–—…© ", "''\"\"--.  ")
+SIGNS = "‘’“”–—…©\u00a0"
 
 #: A line that opens with a copyright statement.
-COPYRIGHT_LINE = r"(^|\n)[^a-z0-9\n]*(copyright|\(c\)|all rights reserved)[^\n]*"
-#: ASCII that is neither letter nor digit.
-PLAIN_GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+COPYRIGHT_LINE = r"(^|\n)[^a-z0-9\n]*(copyright|\(c\)|©|all rights reserved)[^\n]*"
+#: Signs, and ASCII that is neither letter nor digit.
+PLAIN_GAP = rf"[\x00-\x2F\x3A-\x60\x7B-\x7F{SIGNS}]+"
 
 #: License name and a text under which it is known.
 KNOWN = [
@@ -78,14 +78,20 @@ KNOWN = [
 
 def canonical(text: Column) -> Column:
     """The form under which texts count as equal: plain lower-case words, one blank before and after each."""
-    x = F.when(text.rlike(f"[{SIGNS[0]}]"), F.translate(text, *SIGNS)).otherwise(text)
-    x = F.lower(x)
-    x = F.when(x.contains("copyright") | x.contains("(c)") | x.contains("all rights"), F.regexp_replace(x, COPYRIGHT_LINE, "$1")).otherwise(x)
+    x = F.regexp_replace(F.lower(text), COPYRIGHT_LINE, "$1")
     x = F.concat(F.lit(" "), F.trim(F.regexp_replace(x, PLAIN_GAP, " ")), F.lit(" "))
+    # bound to a name, so that the guard and the replacements share one value
+    return F.trim(F.element_at(F.transform(F.array(x), lambda y: F.when(y.rlike(_SPELLED), _respelled(y)).otherwise(y)), 1))
+
+
+_SPELLED = f" (?:{'|'.join(old for old, _ in SPELLINGS)}) "
+
+
+def _respelled(x: Column) -> Column:
     for old, new in SPELLINGS:
         old, new = F.lit(f" {old} "), F.lit(f" {new} ")
         x = F.replace(F.replace(x, old, new), old, new)  # twice, as neighbours share a blank
-    return F.trim(x)
+    return x
 
 
 def digest(text: Column) -> Column:

@@ -67,7 +67,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def license_sql() -> str:
     """The scan with the same fixed values, in DuckDB's words."""
     quoted = lambda x: "'" + x.replace("'", "''") + "'"
-    x = f"lower(translate(text, {quoted(license_scan.SIGNS[0])}, {quoted(license_scan.SIGNS[1])}))"
+    x = "lower(text)"
     x = f"regexp_replace({x}, {quoted(license_scan.COPYRIGHT_LINE)}, '\\1', 'g')"
     x = f"' ' || trim(regexp_replace({x}, {quoted(license_scan.PLAIN_GAP)}, ' ', 'g')) || ' '"
     for old, new in 2 * license_scan.SPELLINGS:
