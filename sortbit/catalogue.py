@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from . import codes, datagen, measure, profile, stream
+from . import baselines, codes, datagen, measure, profile, stream, udfs
 from .advise import advise_order
 from .index import IndexSpec, build_index
 from .io import flatten_pairs, materialise, read_flat, read_table, shared_dir
@@ -397,3 +397,54 @@ def _stream_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 register("stream_blocks_events", _stream_blocks, "SELECT event_type, count(*)::BIGINT AS n FROM events WHERE user_id BETWEEN 10 AND 20 GROUP BY event_type")
+
+
+# ---------------------------------------------------------------- range codes, rivals, functions on payloads, gains
+
+
+def _range_code(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = PROJECTIONS["p_frequent"]
+    index = build_index(p.load(spark, sf_dir), ["l_returnflag", "l_suppkey"], p.order("desc"), IndexSpec(style="range", block_rows=16384))
+    return index.fetch(parse("l_suppkey BETWEEN 20 AND 40 AND NOT l_returnflag = 'R'")).groupBy("l_suppkey", "l_returnflag").agg(F.count("*").alias("n"))
+
+
+register("range_code_suppkey", _range_code, "SELECT l_suppkey, l_returnflag, count(*)::BIGINT AS n FROM lineitem WHERE l_suppkey BETWEEN 20 AND 40 AND l_returnflag <> 'R' GROUP BY ALL")
+_LOOKED_UP = "SELECT l_orderkey, l_linenumber, count(*)::BIGINT AS n FROM lineitem WHERE l_partkey = 77 GROUP BY ALL"
+_count_lines = lambda df: df.groupBy("l_orderkey", "l_linenumber").agg(F.count("*").alias("n"))
+register("baseline_value_index", lambda spark, sf_dir: _count_lines(baselines.value_index(read_table(spark, sf_dir, "lineitem"), "l_partkey", ["l_orderkey", "l_linenumber"]).where("value = 77")), _LOOKED_UP)
+register("baseline_hash_index", lambda spark, sf_dir: _count_lines(baselines.hash_lookup(baselines.hash_index(read_table(spark, sf_dir, "lineitem"), "l_partkey", ["l_orderkey", "l_linenumber"]), 77)), _LOOKED_UP)
+register("baseline_scan", lambda spark, sf_dir: _count_lines(baselines.scan(read_table(spark, sf_dir, "lineitem"), "l_partkey = 77")), _LOOKED_UP)
+
+
+def _payload_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts of the AND of two columns' bitmaps, by functions on their payloads."""
+    f = udfs.functions()
+    rows = _index(spark, sf_dir, "p_gen", IndexSpec(block_rows=16384)).rows
+    side = lambda attr, name: rows.where((F.col("attr") == attr) & (F.col("bitmap_id") < 3)).select("block_id", "n_rows", F.col("bitmap_id").alias(name), F.col("payload").alias(f"{name}_bits"))
+    pairs = side("l_linenumber", "line").join(side("l_discount", "discount"), ["block_id", "n_rows"])
+    counted = pairs.select("line", "discount", *[f["bm_count"](f[op]("line_bits", "discount_bits", "n_rows"), "n_rows").alias(op) for op in ("bm_and",)])
+    return counted.groupBy(F.col("line").cast("bigint").alias("line"), F.col("discount").cast("bigint").alias("discount")).agg(F.sum("bm_and").alias("n_and"))
+
+
+register("payload_functions", _payload_functions, """WITH r AS (SELECT dense_rank() OVER (ORDER BY l_linenumber) - 1 AS line, dense_rank() OVER (ORDER BY l_discount) - 1 AS discount FROM lineitem)
+    SELECT line, discount, count(*)::BIGINT AS n_and FROM r WHERE line < 3 AND discount < 3 GROUP BY ALL""")
+
+
+def _gain(name: str, order: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        p = PROJECTIONS[name]
+        df = p.load(spark, sf_dir)
+        return measure.relative_gain(measure.bitmap_sizes(df, p.order(order), p.names), measure.bitmap_sizes(df, p.order("shuffle"), p.names))
+
+    return run
+
+
+def _abstract(bits: DataFrame, n: int) -> DataFrame:
+    return measure.abstract_cost_bits(to_words(bits), n)
+
+
+for _p in ("p_gen", "p_near_unique"):
+    _one = lambda o, p=_p: f"({bits_sql(p, o)}, {sizes_sql(32)} {_TOTALS})"
+    for _o in ("grouped", "asc", "desc"):
+        register(f"gain_{_p}_{_o}", _gain(_p, _o), f"SELECT a.attr, 1 - a.c_words::DOUBLE / b.c_words::DOUBLE AS gain FROM {_one(_o)} a JOIN {_one('shuffle')} b USING (attr)")
+    register(f"abstract_cost_{_p}_desc", _with_bits(_p, "desc", _abstract))

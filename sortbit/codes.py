@@ -73,12 +73,13 @@ def _let(value: Column, f) -> Column:
     return F.element_at(F.transform(F.array(value), f), 1)
 
 
-def ordinals(values: DataFrame, order: Column, as_: str = "ord") -> DataFrame:
-    """values with dense ordinals from 0 in the given order.
+def ordinals(values: DataFrame, order: Column, as_: str = "ord", n: int | None = None) -> DataFrame:
+    """values with dense ordinals from 0 in the given order; n: their number, where it is known.
 
     Beyond SMALL_DICTIONARY rows: range partitions, counted, with prefix sums over the partitions.
     """
-    if values.limit(SMALL_DICTIONARY + 1).count() <= SMALL_DICTIONARY:
+    n = values.limit(SMALL_DICTIONARY + 1).count() if n is None else n
+    if n <= SMALL_DICTIONARY:
         return values.withColumn(as_, (F.row_number().over(W.orderBy(order)) - 1).cast("bigint"))
     return numbered(values.orderBy(order), as_)
 
@@ -101,7 +102,7 @@ def assign_codes(df: DataFrame, col: str, k: int = 1, allocation: str = "alpha",
     k = effective_k(n, k) if limit_k else k
     size = bitmaps_needed(max(n, 1), k)
     key = F.col("value").cast("string") if value_order == "text" else F.col("value")
-    coded = ordinals(counts, key.asc_nulls_first())
+    coded = ordinals(counts, key.asc_nulls_first(), n=n)
     bits = F.array(F.col("ord").cast("int")) if k == 1 else unrank(F.col("ord"), size, k, allocation)
     return coded.select(F.lit(col).alias("attr"), "value", "freq", "ord", F.lit(k).alias("k"), F.lit(size).alias("n_bitmaps"), bits.alias("bits"))
 

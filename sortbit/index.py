@@ -29,13 +29,18 @@ MANY_VALUES = 100_000
 
 @dataclass(frozen=True)
 class IndexSpec:
-    """k: bitmaps for each value, for all columns or by column."""
+    """k: bitmaps for each value, for all columns or by column.
+
+    style "range": bitmap j holds the rows whose value is among the first j + 1, so a range is
+    one bitmap without another; k and allocation then play no part.
+    """
 
     k: int | dict[str, int] = 1
     allocation: str = "alpha"
     codec: str = "marker32"
     block_rows: int = 1 << 20
     limit_k: bool = True
+    style: str = "equality"
 
     def k_of(self, col: str) -> int:
         return self.k.get(col, 1) if isinstance(self.k, dict) else self.k
@@ -80,16 +85,22 @@ def build_index(df: DataFrame, cols: list[str], order, spec: IndexSpec = IndexSp
     facts = numbered(order.apply(df), "__row")
     facts = facts.withColumn("block_id", F.floor(F.col("__row") / spec.block_rows).cast("bigint")).withColumn("pos", F.col("__row") % spec.block_rows).drop("__row")
     facts = materialise(facts)
-    dicts = {c: materialise(assign_codes(df, c, spec.k_of(c), spec.allocation, spec.limit_k)) for c in cols}
+    k_of = spec.k_of if spec.style == "equality" else lambda c: 1
+    dicts = {c: materialise(assign_codes(df, c, k_of(c), spec.allocation, spec.limit_k)) for c in cols}
     coded = facts.select("block_id", "pos", *cols)
     for i, c in enumerate(cols):
-        lookup = dicts[c].select(F.col("value").alias("__v"), F.col("bits").alias(f"b{i}"))
+        bits = F.col("bits") if spec.style == "equality" else F.sequence(F.col("ord"), F.col("n_bitmaps") - 1).cast("array<int>")
+        lookup = dicts[c].select(F.col("value").alias("__v"), bits.alias(f"b{i}"))
         coded = coded.join(lookup, F.col(c).eqNullSafe(F.col("__v"))).drop("__v")
     coded = coded.select("block_id", "pos", *[f"b{i}" for i in range(len(cols))])
     rows = coded.groupBy("block_id").applyInArrow(_block_builder(cols, spec.codec), "block_id long, attr string, bitmap_id int, n_rows long, n_words long, payload binary")
     return BitmapIndex(facts, dicts, materialise(rows), spec)
 
 
+def _without(parts: list[bitops.Sparse]) -> bitops.Sparse:
+    return parts[0] if len(parts) == 1 else bitops.bm_andnot(*parts)
+
+
 @dataclass
 class BitmapIndex:
     facts: DataFrame
@@ -128,6 +139,10 @@ class BitmapIndex:
         found = self.dicts[leaf.col].where(held).select("bits").limit(MANY_VALUES + 1).collect()
         if len(found) > MANY_VALUES:
             raise ValueError(f"{leaf} names over {MANY_VALUES} values; bin the column first")
+        if self.spec.style == "range":
+            ords = sorted(r[0][0] for r in found)
+            spans = [(ords[0], ords[-1])] if isinstance(leaf, Range) and ords else [(o, o) for o in ords]
+            return [(leaf.col, [high] if low == 0 else [high, low - 1]) for low, high in spans]
         return [(leaf.col, list(r[0])) for r in found]
 
     def explain(self, predicate: Predicate) -> dict:
@@ -146,7 +161,7 @@ class BitmapIndex:
         every = self.facts.groupBy("block_id").agg((F.max("pos") + 1).alias("n_rows"))  # a block without any named bitmap still has rows
         rows = self.rows.where(held).select("block_id", "attr", "bitmap_id", "n_rows", "payload")
         rows = rows.unionByName(every.select("block_id", F.lit(None).cast("string").alias("attr"), F.lit(-1).alias("bitmap_id"), "n_rows", F.lit(None).cast("binary").alias("payload")))
-        codec = self.spec.codec
+        codec, of_code = self.spec.codec, (bitops.bm_and_many if self.spec.style == "equality" else _without)
 
         def run(table: pa.Table) -> pa.Table:
             n_rows = int(table.column("n_rows")[0].as_py())
@@ -174,7 +189,7 @@ class BitmapIndex:
                     return bitops.bm_xor(value(p.left), value(p.right))
                 if isinstance(p, Not):
                     return bitops.bm_not(value(p.part), n_rows)
-                return bitops.bm_or_many([bitops.bm_and_many([maps.get((c, b), bitops.EMPTY) for b in bits]) for c, bits in named[p]])
+                return bitops.bm_or_many([of_code([maps.get((c, b), bitops.EMPTY) for b in bits]) for c, bits in named[p]])
 
             return result(table.column("block_id")[0].as_py(), value(tree))
 

@@ -13,7 +13,7 @@ from .words import sizes_flag31, sizes_marker32, to_bitrows, to_words
 
 
 def dictionaries(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "alpha") -> dict[str, DataFrame]:
-    return {c: materialise(assign_codes(df, c, k, allocation)) for c in cols}
+    return {c: assign_codes(df, c, k, allocation) for c in cols}
 
 
 def placed_bits(df: DataFrame, order, cols: list[str], k: int = 1, allocation: str = "alpha") -> tuple[DataFrame, int]:

@@ -110,3 +110,59 @@ def test_tiny_optima():
 
 def test_sort_plan():
     assert external_sort_plan(1000, 100, 10) == {"runs": 10, "ahead": 9, "passes": 2, "two_pass_capacity": 10000}
+
+
+def test_range_codes(spark):
+    df = spark.range(400).select("id", F.when(F.col("id") % 13 == 0, None).otherwise(F.col("id") % 31).alias("a"))
+    index = build_index(df, ["a"], Lexicographic(("a",)), IndexSpec(style="range", block_rows=64))
+    for p, sql in [(Eq("a", 5), "a = 5"), (In("a", (0, 7, 30)), "a in (0, 7, 30)"), (Range("a", 3, 9), "a between 3 and 9"), (Range("a", None, 0), "a <= 0"), (IsNull("a"), "a is null"), (Not(Range("a", 3, None)), "a < 3 or a is null")]:
+        assert sorted(r.id for r in index.fetch(p).collect()) == sorted(r.id for r in df.where(sql).collect()), sql
+    assert len(index.explain(Range("a", 3, 9))["bitmaps"]) == 2
+
+
+def test_functions_on_payloads(spark):
+    from sortbit import udfs
+
+    df = spark.range(100).select("id", (F.col("id") % 3).alias("a"), (F.col("id") % 5).alias("b"))
+    rows = build_index(df, ["a", "b"], Lexicographic(("id",))).rows
+    rows.createOrReplaceTempView("index_rows")
+    udfs.register(spark)
+    pair = "from index_rows x join index_rows y on x.attr = 'a' and x.bitmap_id = 1 and y.attr = 'b' and y.bitmap_id = 2"
+    got = spark.sql("select " + ", ".join(f"bm_count(bm_{op}(x.payload, y.payload, x.n_rows), x.n_rows) as {op}" for op in ("and", "or", "xor", "andnot", "xnor")) + f", bm_count(bm_not(x.payload, x.n_rows), x.n_rows) as no {pair}").first()
+    one, two = {i for i in range(100) if i % 3 == 1}, {i for i in range(100) if i % 5 == 2}
+    assert tuple(got) == (len(one & two), len(one | two), len(one ^ two), len(one - two), 100 - len(one ^ two), 100 - len(one))
+    at = spark.sql("select pos from index_rows x, lateral bm_positions(x.payload, x.n_rows) where x.attr = 'a' and x.bitmap_id = 1")
+    assert {r.pos for r in at.collect()} == one
+
+
+def test_lookups_of_the_rivals(spark):
+    from sortbit.baselines import hash_index, hash_lookup, scan, value_index
+
+    df = spark.range(500).select("id", (F.col("id") * 7 % 41).alias("v"))
+    want = sorted(r.id for r in scan(df, "v = 9").collect())
+    assert sorted(r.id for r in value_index(df, "v", ["id"]).where("value = 9").collect()) == want
+    assert sorted(r.id for r in hash_lookup(hash_index(df, "v", ["id"], 8), 9, 8).collect()) == want
+
+
+def test_synthetic_data_and_trends(spark):
+    from sortbit.datagen import add_dependent, permute_columns, uniform_table, zipf_table
+    from sortbit.roworder import Grouped, Shuffled
+
+    u = add_dependent(uniform_table(spark, 2000, 2), ["a1", "a2"], 2)
+    assert u.agg(F.max("a1"), F.min("a1")).first()[0] <= 99 and u.columns == ["id", "a1", "a2", "b1", "b2"]
+    assert u.exceptAll(add_dependent(uniform_table(spark, 2000, 2), ["a1", "a2"], 2)).count() == 0
+    assert sorted(permute_columns(["a", "b", "c"], 4)) == ["a", "b", "c"]
+    z = zipf_table(spark, 2000, 1, 1.0, 500).persist()
+    total = lambda o: index_words(bitmap_sizes(z, o, ["z1"], 2)).where("attr = 'total'").first().c_words
+    shuffled, grouped, lex = total(Shuffled((F.col("id"),))), total(Grouped(("z1",))), total(Lexicographic(("z1",)))
+    assert lex < grouped < shuffled
+
+
+def test_streaming_histogram(spark, tmp_path):
+    from sortbit.stream import streaming_histogram
+
+    df = spark.createDataFrame([("2024-01-01 00:10:00", "a"), ("2024-01-01 00:20:00", "a"), ("2024-01-01 01:10:00", "b")], "ts string, v string").withColumn("ts", F.col("ts").cast("timestamp"))
+    df.write.parquet(str(tmp_path / "in"))
+    q = streaming_histogram(spark.readStream.schema(df.schema).parquet(str(tmp_path / "in")), "ts", "v").writeStream.format("memory").queryName("hist").outputMode("complete").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert sorted((r.value, r.freq) for r in spark.table("hist").collect()) == [("a", 2), ("b", 1)]
