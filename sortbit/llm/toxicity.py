@@ -10,7 +10,7 @@ texts, then minimises
 
 with the logistic loss; where the bracket falls below zero, the step goes against it.
 The sample sizes are parameters (`max_positive`, `max_unlabelled`) and bound what the
-driver holds; scoring covers whole texts of all rows.
+one training task holds; scoring covers whole texts of all rows.
 
 Nulls and empty texts have no n-gram: their score is the model's bias alone. Without any
 positive, the model is the constant prior 0.
@@ -161,12 +161,23 @@ def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 3000, max_unlabe
     n, toxic = learn.agg(F.count("*"), F.sum("toxic")).first()
     if not toxic:
         return ToxicityModel()
+    ship(docs.sparkSession)
     positive = bounded_sample(learn.where("toxic = 1").select("doc_id"), "doc_id", max_positive)
     texts = docs.select("doc_id", "text").where(~fold_is_held_out(F.col("doc_id")))
-    pos = [r[0] or "" for r in texts.join(F.broadcast(positive), "doc_id", "left_semi").select("text").collect()]
-    rest = bounded_sample(texts, "doc_id", max_unlabelled, seed=1)
-    rest = [r[0] or "" for r in rest.select("text").collect()]
-    return train(pos, rest, toxic / n, **how)
+    pos = texts.join(F.broadcast(positive), "doc_id", "left_semi").withColumn("positive", F.lit(True))
+    rest = bounded_sample(texts, "doc_id", max_unlabelled, seed=1).withColumn("positive", F.lit(False))
+    prior = toxic / n
+
+    def run(batches):
+        rows = sorted((not p, d, t or "") for x in batches for d, t, p in zip(*(x.column(c).to_pylist() for c in ("doc_id", "text", "positive")), strict=True))
+        model = train([t for u, _, t in rows if not u], [t for u, _, t in rows if u], prior, **how)
+        yield pa.record_batch({"features": pa.array([model.features.tobytes()], pa.binary()), "weights": pa.array([model.weights.tobytes()], pa.binary()), "bias": pa.array([model.bias]), "widths": pa.array([list(model.widths)], pa.list_(pa.int32()))})
+
+    # the sample is bounded, so one task holds it; the driver only gets the model
+    made = pos.unionByName(rest).repartition(1).mapInArrow(run, "features binary, weights binary, bias double, widths array<int>").collect()
+    if not made:
+        return ToxicityModel()
+    return ToxicityModel(tuple(made[0].widths), np.frombuffer(made[0].features, np.int64), np.frombuffer(made[0].weights, np.float32), made[0].bias)
 
 
 def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id") -> DataFrame:
