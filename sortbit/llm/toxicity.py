@@ -22,6 +22,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -97,17 +98,22 @@ class ToxicityModel:
         return 1 / (1 + np.exp(-np.clip(z, -60, 60)))
 
 
-def _document_frequency(texts: list[str], widths: tuple[int, ...]) -> np.ndarray:
+def _chunks(texts: pa.Array | list[str]):
+    texts = texts if isinstance(texts, pa.Array) else pa.array(texts, pa.large_string())
+    return text_chunks(iter([pa.record_batch({"text": texts})]), limit=1 << 18)
+
+
+def _document_frequency(texts: pa.Array | list[str], widths: tuple[int, ...]) -> np.ndarray:
     df = np.zeros(BUCKETS, np.int32)
-    for batch in text_chunks(iter([pa.record_batch({"text": pa.array(texts, pa.large_string())})])):
+    for batch in _chunks(texts):
         seen = [distinct(owner * np.int64(BUCKETS) + b) for b, owner, _ in buckets_by_text(batch.column(0), widths)]
         np.add.at(df, distinct(np.concatenate(seen)) & (BUCKETS - 1), 1)
     return df
 
 
-def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7), n_features: int = 1024, least_z: float = 4.0, steps: int = 500, rate: float = 0.05, decay: float = 1e-4) -> ToxicityModel:
-    """The model for texts given to the driver. A prior beyond [0.001, 0.9] is moved there."""
-    if not positive or not unlabelled:
+def train(positive: pa.Array | list[str], unlabelled: pa.Array | list[str], prior: float, widths=(5, 7), n_features: int = 1024, least_z: float = 4.0, steps: int = 500, rate: float = 0.05, decay: float = 1e-4) -> ToxicityModel:
+    """The model for two samples of texts. A prior beyond [0.001, 0.9] is moved there."""
+    if not len(positive) or not len(unlabelled):
         return ToxicityModel(widths)
     prior = float(np.clip(prior, 1e-3, 0.9))
     dp, du = _document_frequency(positive, widths), _document_frequency(unlabelled, widths)
@@ -123,13 +129,13 @@ def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7
 
     table = model.table()
 
-    def matrix(texts: list[str]) -> np.ndarray:
-        parts = []
-        for batch in text_chunks(iter([pa.record_batch({"text": pa.array(texts, pa.large_string())})])):
-            x = np.zeros((batch.num_rows, len(model.features)), np.uint8)
-            x[model.presence(batch.column(0), table)] = 1
-            parts.append(x)
-        return np.concatenate(parts)
+    def matrix(texts: pa.Array | list[str]) -> np.ndarray:
+        x, at = np.zeros((len(texts), len(model.features)), np.uint8), 0
+        for batch in _chunks(texts):
+            text, feature = model.presence(batch.column(0), table)
+            x[at + text, feature] = 1
+            at += batch.num_rows
+        return x
 
     xp, xu = matrix(positive), matrix(unlabelled)
     w, b = np.zeros(xp.shape[1], np.float32), np.float32(np.log(prior / (1 - prior)))
@@ -152,7 +158,7 @@ def train(positive: list[str], unlabelled: list[str], prior: float, widths=(5, 7
     return model
 
 
-def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 3000, max_unlabelled: int = 6000, **how) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 2000, max_unlabelled: int = 5000, **how) -> ToxicityModel:
     """Learns from rows outside the held-out fold: confirmed toxic documents, and a sample of all as unlabelled text.
 
     docs: doc_id, text; labels: doc_id, toxic. The class prior is the share of toxic rows among the labels.
@@ -169,8 +175,13 @@ def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 3000, max_unlabe
     prior = toxic / n
 
     def run(batches):
-        rows = sorted((not p, d, t or "") for x in batches for d, t, p in zip(*(x.column(c).to_pylist() for c in ("doc_id", "text", "positive")), strict=True))
-        model = train([t for u, _, t in rows if not u], [t for u, _, t in rows if u], prior, **how)
+        rows = [x for x in batches if x.num_rows]
+        if not rows:
+            return
+        table = pa.Table.from_batches(rows).sort_by("doc_id")
+        texts = table.column("text").cast(pa.large_string()).combine_chunks()
+        del rows
+        model = train(texts.filter(table.column("positive").combine_chunks()), texts.filter(pc.invert(table.column("positive").combine_chunks())), prior, **how)
         yield pa.record_batch({"features": pa.array([model.features.tobytes()], pa.binary()), "weights": pa.array([model.weights.tobytes()], pa.binary()), "bias": pa.array([model.bias]), "widths": pa.array([list(model.widths)], pa.list_(pa.int32()))})
 
     # the sample is bounded, so one task holds it; the driver only gets the model
@@ -187,7 +198,7 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id") -> Data
 
     def run(batches):
         table = model.table()
-        for batch in text_chunks(batches):
+        for batch in text_chunks(batches, limit=1 << 19):
             yield pa.record_batch({id_col: batch.column(id_col), "score": pa.array(model.score(batch.column("text"), table))})
 
     return docs.select(id_col, "text").mapInArrow(run, f"{id_col} {kind.simpleString()}, score double")
