@@ -157,21 +157,24 @@ def in_homes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return dealt.join(sets, "id").groupBy("home", "bi", "bj").applyInArrow(run, "a long, b long")
 
 
-def across_homes(members: DataFrame, match: int) -> DataFrame:
-    """Distinct pairs (a, b) in one list whose homes and components differ and whose signatures match."""
+def across_homes(members: DataFrame, match: int, percent: int) -> DataFrame:
+    """Distinct pairs (a, b) in one list whose homes and components differ and whose signatures match.
+
+    Sets whose sizes alone rule a link out are no pair.
+    """
 
     def run(table: pa.Table) -> pa.Table:
         side, ids, home, comp = (table.column(c).to_numpy() for c in ("side", "id", "home", "component"))
-        sig = np.array(table.column("sig").to_pylist(), np.int64)
+        sig, n = np.array(table.column("sig").to_pylist(), np.int64), table.column("n").to_numpy()
         a, b = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
         found = []
         for i in a:
-            j = b[(home[b] != home[i]) & (comp[b] != comp[i])]
+            j = b[(home[b] != home[i]) & (comp[b] != comp[i]) & (100 * np.minimum(n[b], n[i]) >= percent * np.maximum(n[b], n[i]))]
             j = j[(sig[j] == sig[i]).sum(axis=1) >= match]
             found += [(min(ids[i], k), max(ids[i], k)) for k in ids[j].tolist()]
         return _pairs(sorted(set(found)))
 
-    dealt = blocks(members, "key").select("key", "bi", "bj", "side", "id", "home", "component", "sig")
+    dealt = blocks(members, "key").select("key", "bi", "bj", "side", "id", "home", "component", "sig", "n")
     return dealt.groupBy("key", "bi", "bj").applyInArrow(run, "a long, b long").distinct()
 
 
@@ -179,7 +182,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75,
     """(id, n_shingles, component_id, kept) for every row; the id must be a whole number and unique."""
     docs = docs.select(F.col(id_col).cast("long").alias("id"), "text")
     rows = keep(signatures(docs, size, seed))
-    classes = keep(rows.where("sig is not null").groupBy("print").agg(F.min("id").alias("id"), F.any_value("sig").alias("sig")))
+    classes = keep(rows.where("sig is not null").groupBy("print").agg(F.min("id").alias("id"), F.any_value("sig").alias("sig"), F.any_value("n_shingles").alias("n")))
 
     posted = classes.select("id", F.explode("sig").alias("key"))
     shared = keep(posted.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"))
@@ -189,7 +192,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75,
     leaders = keep(member.groupBy("key").agg(F.max_by("id", F.struct("mates", -F.col("id"))).alias("leader"), F.max("mates").alias("lead"), F.count("*").alias("n")).where("n > 1").drop("n"))
     listed = keep(member.join(leaders, "key").select("key", "id", "leader", "lead"))
 
-    sig = classes.join(listed.select("id").distinct(), "id", "left_semi").select("id", "sig")
+    sig = classes.join(listed.select("id").distinct(), "id", "left_semi").select("id", "sig", "n")
     sig = keep(sig)
     sets = set_table(docs, sig.select("id"))
     pairs = listed.where("id <> leader").select(F.col("leader").alias("a"), F.col("id").alias("b")).distinct()
@@ -214,7 +217,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75,
     inside = spread.join(open_lists, "key").join(lead, "leader").withColumn("minor", F.col("home") != F.col("lead_home"))
     minors = inside.where("minor").groupBy("key").agg(F.count("*").alias("n_minor"))
     inside = inside.join(minors, "key").join(sig, "id")
-    linked = components(confirm(across_homes(inside, match), sets, percent), linked)
+    linked = components(confirm(across_homes(inside, match, percent), sets, percent), linked)
 
     named = classes.select("print", "id").join(linked, "id", "left").select("print", F.coalesce("component", "id").alias("class"))
     found = rows.select("id", "n_shingles", "print").join(keep(named), "print", "left")
