@@ -1,7 +1,7 @@
 """Personal data replaced by keyed surrogates of the same type and format.
 
 Found are e-mail addresses, IPv4 addresses, telephone numbers, card-like numbers, secrets
-(hexadecimal keys, and what a token, key or password is set to) and names (after a title,
+(hexadecimal keys, and what a name with token, key or password in it, in any case, is set to) and names (after a title,
 or a known given name with a surname). A surrogate depends on a key, the entity's type and
 its canonical form alone, so one entity has one surrogate in all documents (coreference):
 
@@ -42,18 +42,19 @@ _WORD = r"\p{Lu}[\p{L}\p{M}'’\-]+"
 _TITLED = rf"(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? {_WORD}(?: {_WORD})?"
 _KNOWN = rf"(?:{'|'.join(dict.fromkeys(n for ns in GIVEN.values() for n in ns))}) {_WORD}"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
-_SETTING = r"(?:token|TOKEN|Token|secret|SECRET|Secret|password|PASSWORD|Password|passwd|api_key|API_KEY|apikey|APIKEY) ?[=:] ?\"?"
+#: What stands before a set value: the keyword in any case and inside any longer name. Its last sign is tested first, as it is cheap.
+_SETTING = r"(?<=[=: \"])(?=[A-Za-z+/_\-]{0,127}\d)(?<=(?i:token|secret|password|passwd|api_key|apikey) ?[=:] ?\"?)"
 #: Every entity begins where no letter or digit stands before, so most places fail at once.
 PATTERN = (
     r"(?<![\p{L}\p{N}])(?:"
     + "|".join(
         [
             r"[\p{L}\p{N}][\p{L}\p{M}\p{N}._%+\-]{0,63}+@[A-Za-z0-9\-]{1,63}(?:\.[A-Za-z0-9\-]{1,63})*\.[A-Za-z]{2,24}",
+            rf"{_SETTING}[0-9A-Za-z+/_\-]{{8,128}}",
             rf"{_OCTET}(?:\.{_OCTET}){{3}}(?!\.?\d)",
             r"\+\d{1,3}[ \-]?\(?\d{2,4}\)?[ \-]?\d{3}[ \-]?\d{4}(?!\d)",
             r"\d(?:[ \-]?\d){12,18}(?![\p{L}\d])",
             r"[0-9A-Fa-f]{32,128}(?<=\d[A-Fa-f]{0,31})(?![\p{L}\d])",
-            rf"{_SETTING}(?=[A-Za-z+/_\-]{{0,127}}\d)[0-9A-Za-z+/_\-]{{8,128}}",
             rf"(?=\p{{Lu}}|г)(?:{_TITLED}|{_KNOWN})",
         ]
     )
@@ -71,10 +72,10 @@ def _let(value: Column, f) -> Column:
 def kind_of(m: Column) -> Column:
     return (
         F.when(m.contains("@"), "email")
-        .when(m.startswith("+"), "phone")
+        .when(m.startswith("+") & ~m.rlike("[A-Za-z/_]"), "phone")
         .when(m.rlike(r"^[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+$"), "ip")
         .when(m.rlike(r"^[0-9][0-9 \-]+$") & (F.length(F.regexp_replace(m, "[^0-9]", "")) < 20), "card")
-        .when(m.rlike(rf"^(?:{_SETTING})?[0-9A-Za-z+/_\-]+$"), "secret")
+        .when(m.rlike(r"^[0-9A-Za-z+/_\-]+$"), "secret")
         .otherwise("name")
     )
 
@@ -83,13 +84,9 @@ def _untitled(m: Column) -> Column:
     return F.regexp_replace(m, rf"^(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? ", "")
 
 
-def _unset(m: Column) -> Column:
-    return F.regexp_replace(m, f"^{_SETTING}", "")
-
-
 def canonical(kind: Column, m: Column) -> Column:
     """What two mentions of one entity share."""
-    return F.when(kind.isin("phone", "card"), F.regexp_replace(m, "[^0-9]", "")).when(kind == "secret", F.lower(_unset(m))).when(kind == "name", F.concat(gender(m), F.lit(":"), _untitled(m))).otherwise(F.lower(m))
+    return F.when(kind.isin("phone", "card"), F.regexp_replace(m, "[^0-9]", "")).when(kind == "name", F.concat(gender(m), F.lit(":"), _untitled(m))).otherwise(F.lower(m))
 
 
 def gender(m: Column) -> Column:
@@ -170,9 +167,7 @@ def dressed(kind: Column, m: Column, other: Column) -> Column:
     step = lambda a, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(a["out"], F.substr(other, a["k"], F.lit(1))).alias("out"), (a["k"] + 1).alias("k"))).otherwise(F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k")))
     grouped = F.aggregate(F.split(m, ""), F.struct(F.lit("").alias("out"), F.lit(1).alias("k")), step)["out"]
     title = F.substr(m, F.lit(1), F.length(m) - F.length(_untitled(m)))
-    bare = F.when(kind == "secret", _unset(m)).otherwise(m)
-    cased = F.when((F.upper(bare) == bare) & (F.lower(bare) != bare), F.upper(other)).otherwise(other)
-    cased = F.concat(F.substr(m, F.lit(1), F.length(m) - F.length(bare)), cased)
+    cased = F.when((F.upper(m) == m) & (F.lower(m) != m), F.upper(other)).otherwise(other)
     return F.when(kind.isin("phone", "card"), grouped).when(kind == "name", F.concat(title, F.substring_index(other, ":", -1))).otherwise(cased)
 
 
