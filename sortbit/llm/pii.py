@@ -43,18 +43,18 @@ _TITLED = rf"(?:{'|'.join(t for ts in TITLES.values() for t in ts)})\.? {_WORD}(
 _KNOWN = rf"(?:{'|'.join(dict.fromkeys(n for ns in GIVEN.values() for n in ns))}) {_WORD}"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
 #: What stands before a set value: the keyword in any case and inside any longer name. Its last sign is tested first, as it is cheap.
-_SETTING = r"(?<=[=: \"])(?=[A-Za-z+/_\-]{0,127}\d)(?<=(?i:token|secret|password|passwd|api_key|apikey) ?[=:] ?\"?)"
+_SETTING = r"(?<=[=: \"])(?=[A-Za-z+/_\-]*+\d)(?<=(?i:token|secret|password|passwd|api_key|apikey) ?[=:] ?\"?)"
 #: Every entity begins where no letter or digit stands before, so most places fail at once.
 PATTERN = (
     r"(?<![\p{L}\p{N}])(?:"
     + "|".join(
         [
             r"[\p{L}\p{N}][\p{L}\p{M}\p{N}._%+\-]{0,63}+@[A-Za-z0-9\-]{1,63}(?:\.[A-Za-z0-9\-]{1,63})*\.[A-Za-z]{2,24}",
-            rf"{_SETTING}[0-9A-Za-z+/_\-]{{8,128}}",
+            rf"{_SETTING}[0-9A-Za-z+/_\-]{{8,}}+",
             rf"{_OCTET}(?:\.{_OCTET}){{3}}(?!\.?\d)",
             r"\+\d{1,3}[ \-]?\(?\d{2,4}\)?[ \-]?\d{3}[ \-]?\d{4}(?!\d)",
             r"\d(?:[ \-]?\d){12,18}(?![\p{L}\d])",
-            r"[0-9A-Fa-f]{32,128}(?<=\d[A-Fa-f]{0,31})(?![\p{L}\d])",
+            r"(?=[A-Fa-f]*+\d)[0-9A-Fa-f]{32,}+(?![\p{L}\d])",
             rf"(?=\p{{Lu}}|г)(?:{_TITLED}|{_KNOWN})",
         ]
     )
