@@ -4,7 +4,8 @@ Two texts that differ only in case, punctuation, white space, copyright lines, l
 marks or the spelling of some words have one canonical form; its SHA-256 is looked up in
 the digests of known licenses and notices by a hash join. Two kinds of text are looked up:
 each document as a whole, and each of its lines that has a word, as notices of one line
-stand inside other text. The known texts are a parameter; `KNOWN` holds a short list.
+stand inside other text. The known texts are a parameter; `KNOWN` holds notices and, from
+`license_texts`, whole licenses with their usual titles and variants.
 
 All steps are DataFrame operations. Null texts have no digest and no license. A text
 without a word (also one whose lines are all copyright lines) has the digest of the empty
@@ -13,6 +14,9 @@ form, which no known text may have. Equal known forms under two names give both
 
 from __future__ import annotations
 
+import re
+from pathlib import Path
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -75,6 +79,50 @@ KNOWN = [
     ),
 ]
 
+_MIT, _ISC = ((n, t.split("\n", 1)[1]) if n == "MIT" else (n, t) for n, t in reversed(KNOWN[-2:]))
+#: Titles a text may bear, besides none.
+TITLES = {
+    "MIT": ["MIT License", "The MIT License", "The MIT License (MIT)", "MIT", "MIT License (MIT)", "Expat License"],
+    "ISC": ["ISC License", "The ISC License", "ISC License (ISC)", "ISC"],
+    "BSD-2-Clause": ["BSD 2-Clause License", "The BSD 2-Clause License", "The 2-Clause BSD License", "BSD-2-Clause", 'BSD 2-Clause "Simplified" License', "Simplified BSD License", "FreeBSD License", "BSD License"],
+    "BSD-3-Clause": ["BSD 3-Clause License", "The BSD 3-Clause License", "The 3-Clause BSD License", "BSD-3-Clause", 'BSD 3-Clause "New" or "Revised" License', "New BSD License", "Modified BSD License", "BSD License", "The BSD License"],
+    "Unlicense": ["The Unlicense", "Unlicense"],
+}
+#: Wordings in use beside the one in the text.
+WORDINGS = {
+    "BSD-2-Clause": [("IN NO EVENT SHALL THE COPYRIGHT HOLDER", "IN NO EVENT SHALL THE COPYRIGHT OWNER"), ("IN NO EVENT SHALL THE COPYRIGHT HOLDER", "IN NO EVENT SHALL THE COPYRIGHT HOLDERS"), ("\n1. ", "\n* "), ("\n2. ", "\n* ")],
+    "BSD-3-Clause": [("IN NO EVENT SHALL THE COPYRIGHT HOLDER", "IN NO EVENT SHALL THE COPYRIGHT OWNER"), ("IN NO EVENT SHALL THE COPYRIGHT HOLDER", "IN NO EVENT SHALL THE COPYRIGHT HOLDERS"), ("name of the copyright holder", "name of the <organization>"), ("name of the copyright holder", "name of copyright holder"), ("name of the copyright holder nor the names of its", "names of the copyright holders nor the names of the"), ("name of the copyright holder nor the names of its", "name of the author nor the names of its")],
+    "Unlicense": [("https://unlicense.org", "http://unlicense.org/")],
+}
+
+
+def _form(text: str) -> str:
+    """Close to `canonical`, without spellings: only to leave out variants that are equal anyway."""
+    return re.sub(PLAIN_GAP, " ", re.sub(COPYRIGHT_LINE, r"\1", text.lower())).strip()
+
+
+def _variants(name: str, text: str) -> list[str]:
+    """The text as it is known: by its wordings, with and without what follows the terms, wrapped or not, under its titles."""
+    every = [text]
+    for old, new in WORDINGS.get(name, []) + [("https://", "http://"), ("http://", "https://")]:
+        every += [t.replace(old, new) for t in every if old in t]
+    if name.startswith("BSD"):
+        every += [re.sub(r"(?m)^ *\d\. ", "* ", t) for t in every]
+    end = "END OF TERMS AND CONDITIONS"
+    every += [t[: t.index(end) + len(end)] for t in every if end in t] + [t[: t.index(end)] for t in every if end in t]
+    every += [re.sub(r"(?<=\S)[ \t]*\n[ \t]*(?=\S)", " ", t) for t in every]  # a wrapped line may open with the word copyright
+    every += [f"{title}\n\n{t}" for title in TITLES.get(name, []) for t in every]
+    return list({_form(t): t for t in every}.values())
+
+
+def _whole_texts() -> list[tuple[str, str]]:
+    files = sorted((Path(__file__).parent / "license_texts").glob("*.txt"))
+    texts = [_MIT, _ISC] + [(re.sub(r"\.(regents\.)?txt$", "", f.name), f.read_text(encoding="utf-8")) for f in files]
+    return [(name, t) for name, text in texts for t in _variants(name, text)]
+
+
+KNOWN += _whole_texts()
+
 
 def canonical(text: Column) -> Column:
     """The form under which texts count as equal: plain lower-case words, one blank before and after each."""
