@@ -3,20 +3,27 @@
 1. Rows with equal shingle sets become one class, named by its least id.
 2. Every class is posted under each (coordinate, value) of its signature. Two classes
    with at least `match` equal coordinates of `size` must meet in the postings of their
-   `shared - match + 1` rarest shared coordinates (the prefix): the long lists are skipped.
+   `shared - match + 1` rarest shared coordinates (the prefix). Only these lists are merged;
+   the long ones are skipped and looked up in the signatures of what the short ones bring together.
 3. In each posting list the class with the most list mates overall is the leader. Members
-   that match it in `match` coordinates are confirmed against it on their full sets.
+   that collide with it in `match` coordinates are confirmed against it on their full sets.
 4. What leaders cannot show is searched whole. Classes whose lists have the same foremost
    leader form a home; in a home that still holds several components, each class outside
-   the leader's component is compared with all others, blocks against blocks, on full sets.
-   In a list that holds several homes, classes of different homes and components are
-   compared by signature, blocks against blocks, and what matches is confirmed on full sets.
+   the leader's component is merged with all others, blocks against blocks. In a list that
+   holds several homes, classes of different homes and components are merged likewise, each
+   pair only in the first list, by rarity, that it shares. A block pair counts collisions
+   coordinate by coordinate and drops the pairs that the coordinates left cannot bring to
+   `match`; it puts out the classes with a collision partner (no pairs), and those meet again
+   with their full sets, where links are confirmed and reduced to a spanning forest.
 
 So groups of thousands of copies cost one row each for their leader, no list is ever
-turned into all its pairs, and no partner is dropped. A link of exactly 75 % has about one
-chance in a million to match in fewer than 21 of 48 coordinates; that is the only loss.
+turned into all its pairs, and no partner is dropped. A block holds at most `BLOCK` classes
+and, by its longest text, at most about `BLOCK_HASHES` shingles. A link of exactly 75 % has
+about one chance in a million to match in fewer than 21 of 48 coordinates; that is the only loss.
 
 Null and empty texts have no shingle: they are classes of their own, linked with nothing.
+Rows that repeat an id are one document: they are linked with each other, whatever their
+texts, and stay or go together. No rows: no rows.
 """
 
 from __future__ import annotations
@@ -30,8 +37,8 @@ from .base import keep, ship, text_chunks
 from .components import components
 from .shingles import MinWise, fingerprint, shingle_sets, similar
 
-#: Classes in one block of a block-against-block comparison.
-BLOCK = 256
+#: Classes in one block of a block-against-block comparison, and shingles where its texts are long.
+BLOCK, BLOCK_HASHES = 256, 1 << 22
 #: Ids that are sent to every executor rather than shuffled.
 BROADCAST_IDS = 1_000_000
 
@@ -86,9 +93,10 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 def blocks(members: DataFrame, group: str) -> DataFrame:
     """Deals each group's members out so that every minor one meets every member in one block pair.
 
-    members: group, id, minor, n_minor, n_all and others; adds bi, bj and side (0: minor, 1: any).
+    members: group, id, minor, n_minor, n_all, most (the longest set's size) and others; adds bi, bj and side (0: minor, 1: any).
     """
-    part = lambda n: F.ceil(F.col(n) / BLOCK).cast("int")
+    members = members.withColumn("rows", F.greatest(F.lit(1), F.least(F.lit(BLOCK), F.floor(BLOCK_HASHES / F.greatest("most", F.lit(1))))))
+    part = lambda n: F.ceil(F.col(n) / F.col("rows")).cast("int")
     own = lambda n: F.pmod(F.xxhash64("id"), part(n)).cast("int")
     left = members.where("minor").withColumn("bi", own("n_minor")).withColumn("bj", F.explode(F.sequence(F.lit(0), part("n_all") - 1))).withColumn("side", F.lit(0))
     right = members.withColumn("bj", own("n_all")).withColumn("bi", F.explode(F.sequence(F.lit(0), part("n_minor") - 1))).withColumn("side", F.lit(1))
@@ -138,8 +146,61 @@ def intersections(one: list[np.ndarray], two: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def in_homes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links (a, b) between classes of one home but different components: full sets, all of them."""
+def collisions(a: np.ndarray, b: np.ndarray, alive: np.ndarray, match: int, earlier: np.ndarray | None = None) -> np.ndarray:
+    """Which of the pairs `alive` have `match` equal coordinates, for two blocks of signatures (one row each).
+
+    A pair is dropped as soon as the coordinates left cannot bring it to `match`. earlier: for
+    each row of a, the coordinates whose list comes before this one; pairs equal in one of them
+    belong to that list.
+    """
+    size, alive = a.shape[1], alive.copy()
+    count = np.zeros(alive.shape, np.int16)
+    for c in range(size):
+        same = a[:, c][:, None] == b[:, c][None, :]
+        count += same
+        if earlier is not None:
+            alive &= ~(same & earlier[:, c][:, None])
+        left = size - 1 - c
+        if left < match:
+            alive &= count >= match - left
+            if not alive.any():
+                break
+    return alive
+
+
+def colliding(members: DataFrame, group: str, match: int, percent: int, across: bool) -> DataFrame:
+    """(group, bi, bj, side, id, home, component): the members of each block pair with a partner that `match` coordinates share.
+
+    across: partners have different homes, and count in the first list alone that the two share
+    (keys: a member's prefix, the rarest first). Sets whose sizes alone rule a link out are no partners.
+    """
+    held = [group, "bi", "bj", "side", "id", "home", "component"]
+
+    def run(table: pa.Table) -> pa.Table:
+        side, home, comp, n = (table.column(c).to_numpy() for c in ("side", "home", "component", "n"))
+        sig = np.array(table.column("sig").to_pylist(), np.int64)
+        a, b = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+        if not len(a) or not len(b):
+            return table.select(held).slice(0, 0)
+        alive = (comp[a][:, None] != comp[b][None, :]) & (100 * np.minimum(n[a][:, None], n[b][None, :]) >= percent * np.maximum(n[a][:, None], n[b][None, :]))
+        earlier = None
+        if across:
+            alive &= home[a][:, None] != home[b][None, :]
+            earlier = np.zeros((len(a), sig.shape[1]), bool)
+            here = table.column(group)[0].as_py()
+            for row, keys in enumerate(table.column("keys").take(pa.array(a)).to_pylist()):
+                earlier[row, [k >> 32 for k in keys[: keys.index(here)]]] = True
+        hit = collisions(sig[a], sig[b], alive, match, earlier)
+        return table.select(held).take(pa.array(np.concatenate([a[hit.any(axis=1)], b[hit.any(axis=0)]])))
+
+    more = ["keys"] if across else []
+    dealt = blocks(members, group).select(*held, "sig", "n", *more)
+    kind = ", ".join(f"{c} {'int' if c in ('bi', 'bj', 'side') else 'long'}" for c in held)
+    return dealt.groupBy(group, "bi", "bj").applyInArrow(run, kind)
+
+
+def linked_in_blocks(found: DataFrame, sets: DataFrame, group: str, percent: int) -> DataFrame:
+    """Links (a, b) between the components of a block pair, confirmed on full sets: a spanning forest of them."""
 
     def run(table: pa.Table) -> pa.Table:
         side, ids, comp = (table.column(c).to_numpy() for c in ("side", "id", "component"))
@@ -151,35 +212,15 @@ def in_homes(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         size = np.array([len(s) for s in every])
         union = size[a][:, None] + size[b][None, :] - both
         x, y = np.nonzero((100 * both >= percent * union) & (comp[a][:, None] != comp[b][None, :]))
-        return _pairs(_least(list(zip(ids[a[x]].tolist(), ids[b[y]].tolist(), strict=True))))
-
-    dealt = blocks(members, "home").select("home", "bi", "bj", "side", "id", "component")
-    return dealt.join(sets, "id").groupBy("home", "bi", "bj").applyInArrow(run, "a long, b long")
-
-
-def across_homes(members: DataFrame, match: int, percent: int) -> DataFrame:
-    """Distinct pairs (a, b) in one list whose homes and components differ and whose signatures match.
-
-    Sets whose sizes alone rule a link out are no pair.
-    """
-
-    def run(table: pa.Table) -> pa.Table:
-        side, ids, home, comp = (table.column(c).to_numpy() for c in ("side", "id", "home", "component"))
-        sig, n = np.array(table.column("sig").to_pylist(), np.int64), table.column("n").to_numpy()
-        a, b = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-        found = []
-        for i in a:
-            j = b[(home[b] != home[i]) & (comp[b] != comp[i]) & (100 * np.minimum(n[b], n[i]) >= percent * np.maximum(n[b], n[i]))]
-            j = j[(sig[j] == sig[i]).sum(axis=1) >= match]
-            found += [(min(ids[i], k), max(ids[i], k)) for k in ids[j].tolist()]
-        return _pairs(sorted(set(found)))
+        _, one = np.unique(np.column_stack([comp[a[x]], comp[b[y]]]), axis=0, return_index=True)  # one link for two components
+        edges = _least(list(zip(comp[a[x[one]]].tolist(), comp[b[y[one]]].tolist(), strict=True)))
+        return _pairs(edges)
 
-    dealt = blocks(members, "key").select("key", "bi", "bj", "side", "id", "home", "component", "sig", "n")
-    return dealt.groupBy("key", "bi", "bj").applyInArrow(run, "a long, b long").distinct()
+    return found.join(sets, "id").groupBy(group, "bi", "bj").applyInArrow(run, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75, size: int = 48, match: int = 21, seed: int = 5) -> DataFrame:
-    """(id, n_shingles, component_id, kept) for every row; the id must be a whole number and unique."""
+    """(id, n_shingles, component_id, kept) for every row; the id must be a whole number."""
     docs = docs.select(F.col(id_col).cast("long").alias("id"), "text")
     rows = keep(signatures(docs, size, seed))
     classes = keep(rows.where("sig is not null").groupBy("print").agg(F.min("id").alias("id"), F.any_value("sig").alias("sig"), F.any_value("n_shingles").alias("n")))
@@ -199,25 +240,34 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75,
     for k in ("a", "b"):
         pairs = pairs.join(sig.select(F.col("id").alias(k), F.col("sig").alias(f"sig_{k}")), k)
     pairs = pairs.where(F.size(F.array_intersect("sig_a", "sig_b")) >= match).select("a", "b")
-    linked = components(confirm(pairs, sets, percent))
+    # a repeated id joins the classes of its texts
+    of_class = rows.where("sig is not null").select("id", "print")
+    again = of_class.groupBy("id").agg(F.min("print").alias("p"), F.max("print").alias("q")).where("p <> q").select("id")
+    joined = keep(of_class.join(again, "id").join(classes.select("print", F.col("id").alias("class")), "print").select("id", "class"))
+    least = joined.groupBy("id").agg(F.min("class").alias("a"))
+    repeats = joined.join(least, "id").where("a <> class").select("a", F.col("class").alias("b"))
+    linked = components(confirm(pairs, sets, percent).unionByName(repeats))
 
     home = keep(listed.groupBy("id").agg(F.max_by("leader", F.struct("lead", -F.col("leader"))).alias("home")))
     at = lambda done: keep(home.join(done, "id", "left").select("id", "home", F.coalesce("component", "id").alias("component")))
     placed = at(linked)
-    open_homes = placed.groupBy("home").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n_all")).where("low <> high").select("home", "n_all")
+    sized = placed.join(sig, "id")
+    open_homes = sized.groupBy("home").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n_all"), F.max("n").alias("most")).where("low <> high").select("home", "n_all", "most")
     lead = placed.select(F.col("id").alias("home"), F.col("component").alias("lead_component"))
-    inside = placed.join(open_homes, "home").join(lead, "home").withColumn("minor", F.col("component") != F.col("lead_component"))
+    inside = sized.join(open_homes, "home").join(lead, "home").withColumn("minor", F.col("component") != F.col("lead_component"))
     minors = inside.where("minor").groupBy("home").agg(F.count("*").alias("n_minor"))
-    linked = components(in_homes(keep(inside.join(minors, "home")), sets, percent), linked)
+    found = keep(colliding(keep(inside.join(minors, "home").withColumn("key", F.col("home"))), "key", match, percent, across=False))
+    linked = components(linked_in_blocks(found, sets, "key", percent), linked)
 
     placed = at(linked)
-    spread = listed.select("key", "id", "leader").join(placed, "id")
-    open_lists = spread.groupBy("key").agg(F.min("component").alias("c1"), F.max("component").alias("c2"), F.min("home").alias("h1"), F.max("home").alias("h2"), F.count("*").alias("n_all")).where("c1 <> c2 and h1 <> h2").select("key", "n_all")
+    spread = listed.select("key", "id", "leader").join(placed, "id").join(sig.select("id", "n"), "id")
+    open_lists = spread.groupBy("key").agg(F.min("component").alias("c1"), F.max("component").alias("c2"), F.min("home").alias("h1"), F.max("home").alias("h2"), F.count("*").alias("n_all"), F.max("n").alias("most")).where("c1 <> c2 and h1 <> h2").select("key", "n_all", "most")
     lead = placed.select(F.col("id").alias("leader"), F.col("home").alias("lead_home"))
-    inside = spread.join(open_lists, "key").join(lead, "leader").withColumn("minor", F.col("home") != F.col("lead_home"))
+    inside = keep(spread.join(open_lists, "key").join(lead, "leader").withColumn("minor", F.col("home") != F.col("lead_home")))
     minors = inside.where("minor").groupBy("key").agg(F.count("*").alias("n_minor"))
-    inside = inside.join(minors, "key").join(sig, "id")
-    linked = components(confirm(across_homes(inside, match, percent), sets, percent), linked)
+    inside = inside.join(minors, "key").join(sig.select("id", "sig"), "id").join(prefix.select("id", "keys"), "id")
+    found = keep(colliding(inside, "key", match, percent, across=True))
+    linked = components(linked_in_blocks(found, sets, "key", percent), linked)
 
     named = classes.select("print", "id").join(linked, "id", "left").select("print", F.coalesce("component", "id").alias("class"))
     found = rows.select("id", "n_shingles", "print").join(keep(named), "print", "left")
