@@ -3,107 +3,50 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from . import baselines, codes, datagen, measure, profile, stream, udfs
+from . import answers, baselines, codes, measure, profile, stream, udfs
 from .advise import advise_order
+from .codes import numbered
 from .index import IndexSpec, build_index
-from .io import flatten_pairs, materialise, read_flat, read_table, shared_dir
+from .io import flatten_pairs, read_flat, read_table, shared_dir
 from .predicate import Eq, Not, Range, Xor, parse
-from .roworder import GrayCode, Grouped, Lexicographic, Shuffled
+from .registry import Query, oracle_sql, queries, register
+from .roworder import Lexicographic
+from .trials import code_ctes, gray_sql
 from .words import to_words
-from .workloads import PROJECTIONS, whole
-
-Query = Callable[[SparkSession, str], DataFrame]
-_queries: dict[str, Query] = {}
-_oracles: dict[str, str] = {}
-
-
-def register(name: str, query: Query, sql: str | None = None) -> None:
-    _queries[name] = query
-    if sql:
-        _oracles[name] = sql
-
-
-def queries() -> dict[str, Query]:
-    return dict(_queries)
-
-
-def oracle_sql() -> dict[str, str]:
-    return dict(_oracles)
+from .workloads import PROJECTIONS
 
+__all__ = ["oracle_sql", "queries"]
 
 # ---------------------------------------------------------------- SQL pieces
 
 
-def _duck(expr: str) -> str:
-    return expr.replace("0.0D", "0.0").replace("datediff(l_shipdate, date '1990-01-01')", "date_diff('day', date '1990-01-01', l_shipdate)")
-
-
-def _md5(seed: int, exprs: list[str]) -> str:
-    return f"md5(concat_ws('|', '{seed}', {', '.join(f'cast({e} as varchar)' for e in exprs)}))"
-
-
-def placed_sql(name: str, order: str, k: int = 1) -> str:
-    """CTEs up to `coded`: each row's pos and each column's ordinal and cardinality."""
+def placed_sql(name: str, order: str, k: int = 1, gray_codes: bool = False) -> str:
+    """CTEs up to `coded`: each row's pos, each column's ordinal and, for k > 1, its code bits_<col>."""
     p = PROJECTIONS[name]
-    cols = ", ".join(f"{_duck(e)} AS {n}" for n, e in p.cols)
-    keys = ", ".join(f"{_duck(e)} AS key_{i}" for i, e in enumerate(p.key))
     ords = ", ".join(f"dense_rank() OVER (ORDER BY {n}) - 1 AS ord_{n}" for n in p.names)
-    shuffle = _md5(42, [f"key_{i}" for i in range(len(p.key))])
     columns = p.names if order.endswith("asc") else p.names[::-1]
-    if order == "shuffle":
-        by = shuffle
-    elif order == "grouped":
-        by = _md5(42, [_duck(whole(n)) for n in p.names]) + ", " + ", ".join(p.names)
-    elif order.startswith("gray"):
-        keys_, odd = [], "0"
-        for n in columns:
-            sign = f"(CASE WHEN ({odd}) % 2 = 0 THEN 1 ELSE -1 END)"
-            if k == 1:
-                keys_.append(f"{sign} * -ord_{n}")
-                odd += " + 1"
-            else:
-                keys_ += [f"{sign} * -(CASE WHEN n_{n} <= 5 THEN ord_{n} ELSE bits_{n}[1] END)", f"{sign} * (CASE WHEN n_{n} <= 5 THEN 0 ELSE bits_{n}[2] END)"]
-                odd += f" + (CASE WHEN n_{n} <= 5 THEN 1 ELSE 2 END)"
-        by = ", ".join(keys_)
-    elif order.startswith("blocks"):
-        by = f"floor((row_number() OVER (ORDER BY {shuffle}) - 1) * {int(order[6:])} / count(*) OVER ()), " + ", ".join(columns)
-    else:
-        by = ", ".join(columns)
-    base = f"base AS (SELECT {cols}, {keys} FROM {p.table}), ranked AS (SELECT *, {ords} FROM base)"
-    if k > 1:
-        ns = ", ".join(f"max(ord_{n}) + 1 AS n_{n}" for n in p.names)
-        base += f", card AS (SELECT {ns} FROM ranked), num AS (SELECT unnest(range(0, 3000)) AS i)"
-        joins, cols_ = "", ""
-        for n in p.names:
-            gray = "-a.i, b.i" if k == -2 else "a.i, b.i"
-            base += f", code_{n} AS (SELECT row_number() OVER (ORDER BY {gray}) - 1 AS ord_{n}, [a.i, b.i] AS bits_{n} FROM num a JOIN num b ON a.i < b.i WHERE b.i < (SELECT CAST(ceil((sqrt(8 * n_{n} + 1) + 1) / 2) AS BIGINT) FROM card))"
-            joins += f" LEFT JOIN code_{n} USING (ord_{n})"
-            cols_ += f", bits_{n}, n_{n}"
-        base += f", full_code AS (SELECT r.* EXCLUDE ({', '.join(f'ord_{n}' for n in p.names)}){''.join(f', ord_{n}' for n in p.names)}{cols_} FROM ranked r{joins} CROSS JOIN card)"
+    base, source = f"base AS ({p.select_sql()}), ranked AS (SELECT *, {ords} FROM base)", "ranked"
+    if k > 1 or order.startswith("gray"):
+        base += ", " + code_ctes(p.names, k, "ranked", gray_codes)[0]
+        base += f", full_code AS (SELECT * FROM ranked{''.join(f' JOIN code_{n} USING (ord_{n})' for n in p.names)})"
         source = "full_code"
-    else:
-        source = "ranked"
     if order.startswith("blocks"):
-        inner = f"SELECT *, {by.split(', ' + columns[0])[0]} AS block_no FROM {source}"
-        return base + f", cut AS ({inner}), coded AS (SELECT *, row_number() OVER (ORDER BY block_no, {', '.join(columns)}) - 1 AS pos FROM cut)"
+        cut = f"SELECT *, floor((row_number() OVER (ORDER BY {p.shuffle_sql()}) - 1) * {int(order[6:])} / count(*) OVER ()) AS block_no FROM {source}"
+        return base + f", coded AS (SELECT *, row_number() OVER (ORDER BY block_no, {', '.join(columns)}) - 1 AS pos FROM ({cut}))"
+    by = p.shuffle_sql() if order == "shuffle" else p.grouped_sql() if order == "grouped" else gray_sql(columns, k) if order.startswith("gray") else ", ".join(columns)
     return base + f", coded AS (SELECT *, row_number() OVER (ORDER BY {by}) - 1 AS pos FROM {source})"
 
 
 def bits_sql(name: str, order: str, k: int = 1, gray_codes: bool = False) -> str:
     """CTEs up to `bit` (attr, bitmap_id, pos) and `total` (n)."""
     p = PROJECTIONS[name]
-    one = lambda n: f"ord_{n}" if k == 1 else f"unnest(CASE WHEN n_{n} <= 5 THEN [ord_{n}] ELSE bits_{n} END)"
+    one = lambda n: f"unnest(bits_{n})" if k > 1 else f"ord_{n}"
     parts = " UNION ALL ".join(f"SELECT '{n}' AS attr, {one(n)} AS bitmap_id, pos FROM coded" for n in p.names)
-    placed = placed_sql(name, order, k)
-    if gray_codes:
-        placed = placed.replace("ORDER BY a.i, b.i", "ORDER BY -a.i, b.i")
-    return f"WITH {placed}, bit AS ({parts}), total AS (SELECT count(*) AS n FROM coded)"
+    return f"WITH {placed_sql(name, order, k, gray_codes)}, bit AS ({parts}), total AS (SELECT count(*) AS n FROM coded)"
 
 
 def words_sql(width: int) -> str:
@@ -155,7 +98,7 @@ for _p in ("p_gen", "p_near_unique", "p_rare", "p_frequent"):
     register(f"size_gray_k2_{_p}_desc", _size(_p, "gray_desc", 2), f"{bits_sql(_p, 'gray_desc', 2)}, {sizes_sql(32)} {_TOTALS}")
     register(f"size_flag31_{_p}_desc", _size(_p, "desc", codec="flag31"), f"{bits_sql(_p, 'desc')}, {sizes_sql(31)} {_TOTALS}")
     for _k in (3, 4):
-        register(f"size_k{_k}_{_p}_desc", _size(_p, "desc", _k))
+        register(f"size_k{_k}_{_p}_desc", _size(_p, "desc", _k), f"{bits_sql(_p, 'desc', _k)}, {sizes_sql(32)} {_TOTALS}")
 for _p in ("p_gen", "p_frequent"):
     for _b in (1, 5, 10, 500):
         register(f"size_blocks{_b}_{_p}", _size(_p, f"blocks{_b}"), f"{bits_sql(_p, f'blocks{_b}')}, {sizes_sql(32)} {_TOTALS}")
@@ -163,9 +106,10 @@ for _p in ("p_gen", "p_frequent"):
         register(f"hamming_{_p}_{_o}", _with_bits(_p, _o, measure.hamming_path), f"""{bits_sql(_p, _o)},
             near AS (SELECT *, lag(pos) OVER w AS a, lead(pos) OVER w AS z FROM bit WINDOW w AS (PARTITION BY attr, bitmap_id ORDER BY pos))
             SELECT attr, sum((pos > 0 AND pos - 1 IS DISTINCT FROM a)::INT + (pos < n - 1 AND pos + 1 IS DISTINCT FROM z)::INT)::BIGINT AS changes FROM near, total GROUP BY attr""")
-        register(f"runs_{_p}_{_o}", _with_bits(_p, _o, lambda bits, n: measure.run_stats(bits)), f"""{bits_sql(_p, _o)},
-            near AS (SELECT *, lag(pos) OVER (PARTITION BY attr, bitmap_id ORDER BY pos) AS a FROM bit)
-            SELECT attr, count(*) FILTER (WHERE a IS NULL OR pos - a <> 1)::BIGINT AS one_runs FROM near GROUP BY attr""")
+        register(f"runs_{_p}_{_o}", _with_bits(_p, _o, measure.run_stats), f"""{bits_sql(_p, _o)},
+            near AS (SELECT *, lag(pos) OVER (PARTITION BY attr, bitmap_id ORDER BY pos) AS a FROM bit),
+            per AS (SELECT attr, bitmap_id, count(*) FILTER (WHERE a IS NULL OR pos - a <> 1) AS r, max((pos = 0)::INT) + max((pos = n - 1)::INT) AS ends FROM near, total GROUP BY ALL)
+            SELECT attr, sum(r)::BIGINT AS one_runs, sum(r + 1 - ends)::BIGINT AS zero_runs FROM per GROUP BY attr""")
         register(f"word_stats_{_p}_{_o}", _with_bits(_p, _o, lambda bits, n: measure.word_stats(to_words(bits))), f"""{bits_sql(_p, _o)}, {words_sql(32)}
             SELECT attr, sum(bit_count(bits))::BIGINT AS true_bits, count(*)::BIGINT AS nonzero_words, count(*) FILTER (WHERE bits <> 4294967295)::BIGINT AS dirty_words
             FROM word GROUP BY attr""")
@@ -223,7 +167,7 @@ def _index(spark: SparkSession, sf_dir: str, name: str, spec: IndexSpec, order:
 
 def _payload_words(name: str, codec: str = "marker32") -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return _index(spark, sf_dir, name, IndexSpec(codec=codec, block_rows=1 << 30)).sizes()
+        return _index(spark, sf_dir, name, IndexSpec(codec=codec, block_rows=1 << 30, cut="table")).sizes()
 
     return run
 
@@ -231,7 +175,10 @@ def _payload_words(name: str, codec: str = "marker32") -> Query:
 for _p in ("p_gen", "p_frequent"):
     for _c, _w in (("marker32", 32), ("flag31", 31)):
         register(f"payload_{_c}_{_p}", _payload_words(_p, _c), f"{bits_sql(_p, 'desc')}, {sizes_sql(_w)} SELECT attr, count(*)::BIGINT AS n_bitmaps, sum(c_words)::BIGINT AS stored_words FROM size GROUP BY attr")
-    register(f"payload_runlength_{_p}", _payload_words(_p, "runlength"))
+    register(f"payload_runlength_{_p}", _payload_words(_p, "runlength"), f"""{bits_sql(_p, 'desc')},
+        near AS (SELECT *, lag(pos) OVER (PARTITION BY attr, bitmap_id ORDER BY pos) AS a FROM bit),
+        per AS (SELECT attr, bitmap_id, count(*) FILTER (WHERE a IS NULL OR pos - a <> 1) AS r, max((pos = 0)::INT) + max((pos = n - 1)::INT) AS ends FROM near, total GROUP BY ALL)
+        SELECT attr, count(*)::BIGINT AS n_bitmaps, sum(2 * (2 * r + 1 - ends))::BIGINT AS stored_words FROM per GROUP BY attr""")
     register(f"payload_bytealigned_{_p}", _payload_words(_p, "bytealigned"))
     register(f"payload_deflate_{_p}", _payload_words(_p, "deflate"))
     register(f"payload_plain_{_p}", _payload_words(_p, "plain"), f"{bits_sql(_p, 'desc')}, {sizes_sql(32)} SELECT attr, count(*)::BIGINT AS n_bitmaps, sum(n_words)::BIGINT AS stored_words FROM size GROUP BY attr")
@@ -262,33 +209,37 @@ def _fetch(name: str, predicate, spec: IndexSpec) -> Query:
 for _n, (_p, _pred, _sql) in PREDICATES.items():
     for _k in (1, 2) if _n in ("and", "range", "not") else (1,):
         _cols = ", ".join(PROJECTIONS[_p].names)
-        register(f"where_{_n}_k{_k}", _fetch(_p, _pred, IndexSpec(k=_k, block_rows=8192)), f"SELECT {_cols}, count(*)::BIGINT AS n FROM {PROJECTIONS[_p].table} WHERE {_sql or _pred} GROUP BY {_cols}")
+        register(f"where_{_n}_k{_k}", _fetch(_p, _pred, IndexSpec(k=_k, block_rows=8192)), f"SELECT {_cols}, count(*)::BIGINT AS n FROM {PROJECTIONS[_p].source_sql()} WHERE {_sql or _pred} GROUP BY {_cols}")
 
 
-def _eq_partkey(k: int) -> Query:
+def _twelve(name: str, col: str, k: int, order: str = "desc") -> Query:
     """Twelve equality queries, the values at evenly spaced ranks of frequency, counted from the index alone."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        index = _index(spark, sf_dir, "p_gen", IndexSpec(k=k, block_rows=16384))
-        out = None
-        for v in pick_values(index.dicts["l_partkey"], 12):
-            one = index.count_by_block(Eq("l_partkey", v)).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).select(F.lit(v).cast("bigint").alias("l_partkey"), "n")
-            out = one if out is None else out.unionByName(one)
-        return out
+        index = _index(spark, sf_dir, name, IndexSpec(k=k, block_rows=16384), order)
+        return index.equality_counts(col, pick_values(index.dicts[col], 12)).select(F.col("value").alias(col), "n")
 
     return run
 
 
 def pick_values(codes_: DataFrame, n: int) -> list:
     """n values at evenly spaced ranks of (frequency, value): the first of each of n equal parts."""
-    tiles = codes_.select("value", F.ntile(n).over(Window.orderBy("freq", "value")).alias("tile"), F.struct("freq", "value").alias("rank"))
-    return [r[0] for r in tiles.groupBy("tile").agg(F.min("rank").alias("rank")).orderBy("tile").select("rank.value").collect()]
+    ranked = numbered(codes_.select("freq", "value").orderBy("freq", "value"), "rank")
+    total = ranked.count()
+    starts = [i * (total // n) + min(i, total % n) for i in range(min(n, total))]  # the first parts are longer by one
+    return [r[0] for r in ranked.where(F.col("rank").isin(starts)).orderBy("rank").select("value").collect()]
+
 
+def _twelve_sql(col: str) -> str:
+    return f"""WITH h AS (SELECT {col}, count(*) AS n FROM lineitem GROUP BY 1), t AS (SELECT *, ntile(12) OVER (ORDER BY n, {col}) AS tile FROM h)
+        SELECT {col}, n::BIGINT AS n FROM t QUALIFY row_number() OVER (PARTITION BY tile ORDER BY n, {col}) = 1"""
 
-_TWELVE = """WITH h AS (SELECT l_partkey, count(*) AS n FROM lineitem GROUP BY 1), t AS (SELECT *, ntile(12) OVER (ORDER BY n, l_partkey) AS tile FROM h)
-    SELECT l_partkey, n::BIGINT AS n FROM t QUALIFY row_number() OVER (PARTITION BY tile ORDER BY n, l_partkey) = 1"""
-register("eq_partkey_12_k1", _eq_partkey(1), _TWELVE)
-register("eq_partkey_12_k2", _eq_partkey(2), _TWELVE)
+
+for _k in (1, 2, 3, 4):
+    register(f"eq_partkey_12_k{_k}", _twelve("p_gen", "l_partkey", _k), _twelve_sql("l_partkey"))
+    register(f"eq_shipdate_12_k{_k}", _twelve("p_frequent", "l_shipdate", _k), _twelve_sql("l_shipdate"))
+for _o in ("shuffle", "blocks5", "blocks10", "blocks500"):
+    register(f"eq_partkey_12_{_o}", _twelve("p_gen", "l_partkey", 1, _o), _twelve_sql("l_partkey"))
 register("group_count_returnflag", lambda spark, sf_dir: _index(spark, sf_dir, "p_frequent", IndexSpec(block_rows=8192)).group_count("l_returnflag"), "SELECT l_returnflag AS value, count(*)::BIGINT AS n FROM lineitem GROUP BY l_returnflag")
 
 
@@ -341,34 +292,9 @@ for _p in ("p_gen", "p_rare", "p_frequent"):
         _cards = " UNION ALL ".join(f"SELECT '{c}' AS attr, count(DISTINCT {c}) AS n FROM {PROJECTIONS[_p].table}" for c in PROJECTIONS[_p].names)
         _by = "n, attr" if _s == "asc" else "n DESC, attr DESC"
         register(f"advise_{_s}_{_p}", _advice(_p, _s), f"SELECT row_number() OVER (ORDER BY {_by}) - 1 AS place, attr FROM ({_cards})")
-    for _s in ("frequency", "model"):
-        register(f"advise_{_s}_{_p}", _advice(_p, _s))
-
-
-def _synthetic(kind: str, d: int, parameter: float, k: int = 2, n: int = 5000) -> Query:
-    """(row_order, c_words) of a synthetic table under shuffle, grouping, lexicographic order, Gray order and Gray-coded lexicographic order."""
-
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        if kind == "zipf":
-            df, cols = datagen.zipf_table(spark, n, d, parameter), [f"z{j}" for j in range(1, d + 1)]
-        else:
-            df = datagen.add_dependent(datagen.uniform_table(spark, n, d, int(parameter)), [f"a{j}" for j in range(1, d + 1)], d)
-            cols = datagen.permute_columns([f"{x}{j}" for x in "ab" for j in range(1, d + 1)])
-        df = materialise(df)
-        out = None
-        for name, order, allocation in (("shuffle", Shuffled((F.col("id"),)), "alpha"), ("grouped", Grouped(tuple(cols)), "alpha"), ("lex", Lexicographic(tuple(cols)), "alpha"), ("gray", GrayCode(tuple(cols), k), "alpha"), ("lexgray", Lexicographic(tuple(cols)), "gray")):
-            one = measure.index_words(measure.bitmap_sizes(df, order, cols, k, allocation)).where("attr = 'total'").select(F.lit(name).alias("row_order"), "c_words")
-            out = one if out is None else out.unionByName(one)
-        return out
-
-    return run
-
-
-register("gain_uniform_d1", _synthetic("uniform", 1, 1))
-register("gain_uniform_d2", _synthetic("uniform", 2, 1))
-register("gain_zipf_d1_s2", _synthetic("zipf", 1, 2.0))
-register("gain_zipf_d2_s2", _synthetic("zipf", 2, 2.0))
-register("gain_zipf_d2_s05", _synthetic("zipf", 2, 0.5))
+    _often = " UNION ALL ".join(f"SELECT '{c}' AS attr, count(*) AS n, 4 * coalesce(sum(f) FILTER (WHERE f >= 32), 0) >= sum(f) AS often FROM (SELECT count(*) AS f FROM {PROJECTIONS[_p].table} GROUP BY {c})" for c in PROJECTIONS[_p].names)
+    register(f"advise_frequency_{_p}", _advice(_p, "frequency"), f"SELECT row_number() OVER (ORDER BY often DESC, CASE WHEN often THEN -n ELSE n END, CASE WHEN often THEN attr END DESC, attr) - 1 AS place, attr FROM ({_often})")
+    register(f"advise_model_{_p}", _advice(_p, "model"))
 
 
 def _flat(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -382,6 +308,7 @@ def _flat(spark: SparkSession, sf_dir: str) -> DataFrame:
 register("flat_nation", _flat, "SELECT n_regionkey AS value, count(*)::BIGINT AS freq FROM nation GROUP BY 1")
 register("pairs_documents", lambda spark, sf_dir: flatten_pairs(read_table(spark, sf_dir, "documents").select("source", "text"), F.split("text", "\n"), "line").groupBy("source").agg(F.count("*").alias("facts"), F.countDistinct("line").alias("lines")),
          "SELECT source, count(*)::BIGINT AS facts, count(DISTINCT line)::BIGINT AS lines FROM (SELECT source, unnest(string_split(text, chr(10))) AS line FROM documents) GROUP BY source")
+_oracles = oracle_sql()
 register("scan_and", lambda spark, sf_dir: read_table(spark, sf_dir, "lineitem").where("l_linenumber = 3 and l_discount = 0.05").groupBy("l_linenumber", "l_discount", "l_partkey").agg(F.count("*").alias("n")), _oracles["where_and_k1"])
 
 
@@ -417,17 +344,23 @@ register("baseline_scan", lambda spark, sf_dir: _count_lines(baselines.scan(read
 
 
 def _payload_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Counts of the AND of two columns' bitmaps, by functions on their payloads."""
+    """Counts of two columns' bitmaps under every function on payloads, for all pairs of values."""
     f = udfs.functions()
-    rows = _index(spark, sf_dir, "p_gen", IndexSpec(block_rows=16384)).rows
-    side = lambda attr, name: rows.where((F.col("attr") == attr) & (F.col("bitmap_id") < 3)).select("block_id", "n_rows", F.col("bitmap_id").alias(name), F.col("payload").alias(f"{name}_bits"))
-    pairs = side("l_linenumber", "line").join(side("l_discount", "discount"), ["block_id", "n_rows"])
-    counted = pairs.select("line", "discount", *[f["bm_count"](f[op]("line_bits", "discount_bits", "n_rows"), "n_rows").alias(op) for op in ("bm_and",)])
-    return counted.groupBy(F.col("line").cast("bigint").alias("line"), F.col("discount").cast("bigint").alias("discount")).agg(F.sum("bm_and").alias("n_and"))
+    index = _index(spark, sf_dir, "p_gen", IndexSpec(block_rows=16384))
+    side = lambda attr, name: index.rows.where(F.col("attr") == attr).select("block_id", F.col("bitmap_id").cast("bigint").alias(name), F.col("payload").alias(f"{name}_bits"))
+    every = lambda attr: F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(index.plans[attr][2] - 1).cast("bigint")))
+    # a bitmap that a block lacks is empty there; the two columns have a few dozen pairs of values
+    grid = index.rows.where("attr = ''").select("block_id", "n_rows", every("l_linenumber").alias("line")).select("*", every("l_discount").alias("discount"))
+    pairs = grid.join(side("l_linenumber", "line"), ["block_id", "line"], "left").join(side("l_discount", "discount"), ["block_id", "discount"], "left")
+    held = lambda c: F.coalesce(F.col(c), F.lit(b""))
+    counted = pairs.select("line", "discount", *[f["bm_count"](f[f"bm_{op}"](held("line_bits"), held("discount_bits"), "n_rows"), "n_rows").alias(op) for op in ("and", "or", "xor", "andnot", "xnor")], f["bm_count"](f["bm_not"](held("line_bits"), "n_rows"), "n_rows").alias("not"))
+    return counted.groupBy("line", "discount").agg(*[F.sum(op).alias(f"n_{op}") for op in ("and", "or", "xor", "andnot", "xnor", "not")])
 
 
-register("payload_functions", _payload_functions, """WITH r AS (SELECT dense_rank() OVER (ORDER BY l_linenumber) - 1 AS line, dense_rank() OVER (ORDER BY l_discount) - 1 AS discount FROM lineitem)
-    SELECT line, discount, count(*)::BIGINT AS n_and FROM r WHERE line < 3 AND discount < 3 GROUP BY ALL""")
+register("payload_functions", _payload_functions, """WITH r AS (SELECT dense_rank() OVER (ORDER BY l_linenumber) - 1 AS x, dense_rank() OVER (ORDER BY l_discount) - 1 AS y FROM lineitem),
+    pair AS (SELECT line, discount FROM (SELECT DISTINCT x AS line FROM r), (SELECT DISTINCT y AS discount FROM r))
+    SELECT line, discount, sum((x = line AND y = discount)::INT)::BIGINT AS n_and, sum((x = line OR y = discount)::INT)::BIGINT AS n_or, sum(((x = line) <> (y = discount))::INT)::BIGINT AS n_xor,
+        sum((x = line AND y <> discount)::INT)::BIGINT AS n_andnot, sum(((x = line) = (y = discount))::INT)::BIGINT AS n_xnor, sum((x <> line)::INT)::BIGINT AS n_not FROM r, pair GROUP BY ALL""")
 
 
 def _gain(name: str, order: str) -> Query:
@@ -447,4 +380,11 @@ for _p in ("p_gen", "p_near_unique"):
     _one = lambda o, p=_p: f"({bits_sql(p, o)}, {sizes_sql(32)} {_TOTALS})"
     for _o in ("grouped", "asc", "desc"):
         register(f"gain_{_p}_{_o}", _gain(_p, _o), f"SELECT a.attr, 1 - a.c_words::DOUBLE / b.c_words::DOUBLE AS gain FROM {_one(_o)} a JOIN {_one('shuffle')} b USING (attr)")
-    register(f"abstract_cost_{_p}_desc", _with_bits(_p, "desc", _abstract))
+    register(f"abstract_cost_{_p}_desc", _with_bits(_p, "desc", _abstract), f"""{bits_sql(_p, 'desc')}, {sizes_sql(32)},
+        part AS (SELECT attr, sum(CASE WHEN ones = 0 THEN len ELSE (len + 65534) // 65535 END) AS c FROM run GROUP BY attr
+            UNION ALL SELECT attr, sum((g + 65534) // 65535) FROM gap GROUP BY attr
+            UNION ALL SELECT attr, sum((t + 65534) // 65535) FROM (SELECT attr, any_value((n + 31) // 32) - 1 - max(word_no) AS t FROM gap, total GROUP BY attr, bitmap_id) GROUP BY attr)
+        SELECT attr, (32 * sum(c))::BIGINT AS bits FROM part GROUP BY attr""")
+
+
+answers.register_measures(bits_sql, sizes_sql, words_sql, _TOTALS)

@@ -1,5 +1,5 @@
 """Codecs between a bitmap's words and bytes: NAME.encode(words, n_rows) and NAME.decode(payload, n_rows)."""
 
-from . import bytealigned, deflate, flag31, marker32, plain, poslist, runlength
+from . import bytealigned, deflate, flag31, marker32, marker64, plain, poslist, runlength
 
-CODECS = {m.__name__.rpartition(".")[2]: m for m in (marker32, flag31, runlength, bytealigned, deflate, plain, poslist)}
+CODECS = {m.__name__.rpartition(".")[2]: m for m in (marker32, marker64, flag31, runlength, bytealigned, deflate, plain, poslist)}

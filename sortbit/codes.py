@@ -95,12 +95,20 @@ def numbered(ordered: DataFrame, as_: str) -> DataFrame:
     return tagged.withColumn("__part", part).join(F.broadcast(offsets), "__part").withColumn(as_, F.col("__before") + local).drop("__at", "__part", "__before")
 
 
-def assign_codes(df: DataFrame, col: str, k: int = 1, allocation: str = "alpha", limit_k: bool = True, value_order: str = "native") -> DataFrame:
-    """Dict: (attr, value, freq, ord, k, n_bitmaps, bits). Null comes first; value_order "text" sorts by the text form."""
-    counts = materialise(value_counts(df, col))
+def plan_codes(n_values: int, k: int, limit_k: bool = True) -> tuple[int, int]:
+    """(k, bitmaps) of a column of so many values."""
+    k = effective_k(n_values, k) if limit_k else k
+    return k, bitmaps_needed(max(n_values, 1), k)
+
+
+def assign_codes(df: DataFrame, col: str, k: int = 1, allocation: str = "alpha", limit_k: bool = True, value_order: str = "native", counts: DataFrame | None = None) -> DataFrame:
+    """Dict: (attr, value, freq, ord, k, n_bitmaps, bits). Null comes first; value_order "text" sorts by the text form.
+
+    counts: the column's histogram (value, freq), where it is already written.
+    """
+    counts = materialise(value_counts(df, col)) if counts is None else counts
     n = counts.count()
-    k = effective_k(n, k) if limit_k else k
-    size = bitmaps_needed(max(n, 1), k)
+    k, size = plan_codes(n, k, limit_k)
     key = F.col("value").cast("string") if value_order == "text" else F.col("value")
     coded = ordinals(counts, key.asc_nulls_first(), n=n)
     bits = F.array(F.col("ord").cast("int")) if k == 1 else unrank(F.col("ord"), size, k, allocation)
@@ -131,3 +139,19 @@ def assign_hierarchy(df: DataFrame, levels: list[str]) -> DataFrame:
 def bin_values(df: DataFrame, col: str, low: float, width: float, as_: str) -> DataFrame:
     """Equal-width bins: the bin of low + i * width and up to the next is i."""
     return df.withColumn(as_, F.floor((F.col(col) - low) / width).cast("bigint"))
+
+
+def bin_by_edges(df: DataFrame, col: str, edges: list, as_: str) -> DataFrame:
+    """Bins between sorted edges: as many edges as are at most the value. A null has no bin."""
+    at = sum((F.when(F.col(col) >= F.lit(e), F.lit(1)).otherwise(F.lit(0)) for e in edges), F.lit(0))
+    return df.withColumn(as_, F.when(F.col(col).isNotNull(), at).cast("bigint"))
+
+
+def quantile_edges(df: DataFrame, col: str, bins: int, accuracy: int = 10_000) -> list:
+    """Edges that cut a column into bins of about equal numbers of rows."""
+    return df.select(F.percentile_approx(col, [i / bins for i in range(1, bins)], accuracy)).first()[0] or []
+
+
+def bins_of_range(edges: list, low, high) -> tuple[int, int]:
+    """The first and the last bin that a range meets; facts of these two are checked again."""
+    return sum(e <= low for e in edges), sum(e <= high for e in edges)

@@ -2,27 +2,30 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window as W
 
 from .codes import assign_codes
-from .io import materialise
 from .roworder import place_rows
-from .words import sizes_flag31, sizes_marker32, to_bitrows, to_words
+from .words import bit_runs, segments, sizes_flag31, sizes_marker32, to_bitrows, to_words
 
 
-def dictionaries(df: DataFrame, cols: list[str], k: int = 1, allocation: str = "alpha") -> dict[str, DataFrame]:
-    return {c: assign_codes(df, c, k, allocation) for c in cols}
+def dictionaries(df: DataFrame, cols: list[str], k: int | dict[str, int] = 1, allocation: str = "alpha") -> dict[str, DataFrame]:
+    """k: bitmaps for each value, for all columns or by column."""
+    of = lambda c: k.get(c, 1) if isinstance(k, dict) else k
+    with ThreadPoolExecutor(8) as pool:
+        return dict(zip(cols, pool.map(lambda c: assign_codes(df, c, of(c), allocation), cols), strict=True))
 
 
-def placed_bits(df: DataFrame, order, cols: list[str], k: int = 1, allocation: str = "alpha") -> tuple[DataFrame, int]:
+def placed_bits(df: DataFrame, order, cols: list[str], k: int | dict[str, int] = 1, allocation: str = "alpha") -> tuple[DataFrame, int]:
     """BitRows of the whole table as one block, and its number of rows."""
-    placed = materialise(place_rows(df, order).select("pos", *cols))
+    placed = place_rows(df, order).select("pos", *cols)  # written already, with its row numbers' parts
     return to_bitrows(placed, dictionaries(df, cols, k, allocation)), placed.count()
 
 
-def bitmap_sizes(df: DataFrame, order, cols: list[str], k: int = 1, allocation: str = "alpha", codec: str = "marker32") -> DataFrame:
+def bitmap_sizes(df: DataFrame, order, cols: list[str], k: int | dict[str, int] = 1, allocation: str = "alpha", codec: str = "marker32") -> DataFrame:
     """(attr, bitmap_id, c_words, n_words)."""
     bits, n = placed_bits(df, order, cols, k, allocation)
     return sizes_flag31(bits, n) if codec == "flag31" else sizes_marker32(to_words(bits), n)
@@ -54,11 +57,10 @@ def word_stats(words: DataFrame) -> DataFrame:
     )
 
 
-def run_stats(bits: DataFrame) -> DataFrame:
-    """(attr, one_runs): runs of set bits over all bitmaps of a column; each is a pair of the run-length codec."""
-    w = W.partitionBy("attr", "bitmap_id").orderBy("pos")
-    starts = F.when(F.col("pos") - F.lag("pos").over(w) == 1, F.lit(0)).otherwise(F.lit(1))
-    return bits.withColumn("starts", starts).groupBy("attr").agg(F.sum("starts").cast("bigint").alias("one_runs"))
+def run_stats(bits: DataFrame, n: int) -> DataFrame:
+    """(attr, one_runs, zero_runs): runs of set bits and of bits not set, over all bitmaps of a column; each is a pair of the run-length codec."""
+    per = bit_runs(to_words(bits), n, ["attr", "bitmap_id"])
+    return per.groupBy("attr").agg(F.sum("one_runs").alias("one_runs"), F.sum("zero_runs").alias("zero_runs"))
 
 
 def hamming_path(bits: DataFrame, n: int) -> DataFrame:
@@ -66,21 +68,47 @@ def hamming_path(bits: DataFrame, n: int) -> DataFrame:
 
     A run of set bits changes one bit where it begins and one where it ends, but at the table's ends.
     """
-    w = W.partitionBy("attr", "bitmap_id").orderBy("pos")
-    before, after = F.lag("pos").over(w), F.lead("pos").over(w)
-    begins = F.when((F.col("pos") > 0) & (F.coalesce(F.col("pos") - before, F.lit(0)) != 1), 1).otherwise(0)
-    ends = F.when((F.col("pos") < n - 1) & (F.coalesce(after - F.col("pos"), F.lit(0)) != 1), 1).otherwise(0)
-    return bits.withColumn("c", begins + ends).groupBy("attr").agg(F.sum("c").cast("bigint").alias("changes"))
+    per = bit_runs(to_words(bits), n, ["attr", "bitmap_id"])
+    return per.groupBy("attr").agg(F.sum(2 * F.col("one_runs") - F.col("first_bit") - F.col("last_bit")).cast("bigint").alias("changes"))
 
 
 def abstract_cost_bits(words: DataFrame, n: int) -> DataFrame:
     """(attr, bits): a word for each clean run and each dirty word."""
-    from .words import segments
-
     s = segments(words, -(-n // 32), (1 << 32) - 1, ["attr", "bitmap_id"])
     return s.groupBy("attr").agg((32 * F.sum(F.col("literals") + F.col("one_marks") + F.col("zero_marks"))).cast("bigint").alias("bits"))
 
 
+def density(words: DataFrame, n: int) -> DataFrame:
+    """(attr, true_bits, all_bits): set bits, and bits of the column's bitmaps; their ratio is the density."""
+    return words.groupBy("attr").agg(F.sum(F.bit_count("bits")).cast("bigint").alias("true_bits"), (F.countDistinct("bitmap_id") * n).cast("bigint").alias("all_bits"))
+
+
+def expansion(sizes: DataFrame) -> DataFrame:
+    """(attr, expansion): the largest ratio of compressed to plain words among a column's bitmaps."""
+    return sizes.groupBy("attr").agg(F.max(F.col("c_words") / F.col("n_words")).alias("expansion"))
+
+
+def marker_overhead(words: DataFrame, n: int) -> DataFrame:
+    """(attr, clean_marks, clean_fills): words that hold clean runs in the marker format, and by fills of up to 2^30 words."""
+    s = segments(words, -(-n // 32), (1 << 32) - 1, ["attr", "bitmap_id"])
+    return s.groupBy("attr").agg(F.sum(F.col("one_marks") + F.col("zero_marks")).cast("bigint").alias("clean_marks"), F.sum(F.col("one_fills") + F.col("zero_fills")).cast("bigint").alias("clean_fills"))
+
+
+def order_effect(one: DataFrame, other: DataFrame) -> DataFrame:
+    """(attr, ratio) of two orders' words, such as ascending by descending."""
+    return index_words(one).join(index_words(other).select("attr", F.col("c_words").alias("other")), "attr").select("attr", (F.col("c_words") / F.col("other")).alias("ratio"))
+
+
+def sort_reach(sizes: DataFrame, unsorted: DataFrame, below: float = 0.95) -> DataFrame:
+    """(attr, reached): whether sorting takes a column below so much of its unsorted size."""
+    return order_effect(sizes, unsorted).where("attr <> 'total'").select("attr", (F.col("ratio") < below).alias("reached"))
+
+
+def selectivity(counts: DataFrame, n: int) -> DataFrame:
+    """counts with the share of the table that each query selects."""
+    return counts.withColumn("share", F.col("n") / F.lit(n))
+
+
 def index_mib(words: int) -> float:
     return words * 4 / (1 << 20)
 

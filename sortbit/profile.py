@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 WORD = 32
@@ -28,3 +28,13 @@ def column_profile(df: DataFrame, cols: list[str]) -> DataFrame:
         F.max("freq").alias("max_freq"),
         F.sum(F.when(F.col("freq") >= WORD, F.col("freq")).otherwise(F.lit(0))).alias("rows_in_frequent"),
     )
+
+
+def save_histograms(df: DataFrame, cols: list[str], path: str) -> None:
+    """Each column's (value, freq), in a folder of its own, for later builds."""
+    for c in cols:
+        value_counts(df, c).write.parquet(f"{path}/{c}")
+
+
+def load_histograms(spark: SparkSession, path: str, cols: list[str]) -> dict[str, DataFrame]:
+    return {c: spark.read.parquet(f"{path}/{c}") for c in cols}

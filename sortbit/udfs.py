@@ -8,6 +8,8 @@ from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 
 from . import bitops
+from .io import ship
+from .ranking import positions_of
 
 
 def _binary(op):
@@ -37,6 +39,25 @@ def functions() -> dict:
     }
 
 
+def _aggregate(many):
+    def run(payload: pd.Series, n_rows: pd.Series) -> bytes:
+        n = int(n_rows.max())
+        return bitops.store(many([bitops.load(x, n) for x in payload if x is not None] or [bitops.EMPTY]), n)
+
+    return pandas_udf(run, "binary")
+
+
+def aggregates() -> dict:
+    """bm_or_agg, bm_and_agg (payload, n_rows): over the bitmaps of a group, all of one block."""
+    return {"bm_or_agg": _aggregate(bitops.bm_or_many), "bm_and_agg": _aggregate(bitops.bm_and_many)}
+
+
+class _CodeTable:
+    def eval(self, n: int, size: int, k: int, allocation: str):
+        for i, code in enumerate(positions_of(np.arange(n), size, k, allocation).tolist()):
+            yield i, code
+
+
 class _Positions:
     def eval(self, payload: bytes, n_rows: int):
         if payload is not None:
@@ -45,7 +66,9 @@ class _Positions:
 
 
 def register(spark: SparkSession) -> None:
-    """For SQL: the functions, and the table function bm_positions(payload, n_rows) -> pos."""
-    for name, f in functions().items():
+    """For SQL: the functions and aggregates, and the table functions bm_positions(payload, n_rows) -> pos and code_table(n, bitmaps, k, allocation) -> ord, bits."""
+    ship(spark)
+    for name, f in (functions() | aggregates()).items():
         spark.udf.register(name, f)
+    spark.udtf.register("code_table", udtf(_CodeTable, returnType="ord: bigint, bits: array<int>"))
     spark.udtf.register("bm_positions", udtf(_Positions, returnType="pos: bigint"))

@@ -35,37 +35,100 @@ def to_words(bitrows: DataFrame, word_bits: int = 32, by: tuple[str, ...] = ("at
     return bitrows.groupBy(*by, F.floor(F.col("pos") / word_bits).cast("bigint").alias("word_no")).agg(F.bit_or(bit).alias("bits"))
 
 
-def _islands(words: DataFrame, full: int, by: list[str]) -> tuple[DataFrame, Column]:
-    """Words with their kind, and the number that is equal within one run of a kind."""
-    typed = words.withColumn("ones", (F.col("bits") == full).cast("int"))
-    run = F.col("word_no") - F.row_number().over(W.partitionBy(*by, "ones").orderBy("word_no"))
-    return typed, run
+#: Words of one bitmap that one task looks at together; only the edges of these stretches meet again.
+CHUNK = 1 << 16
 
 
 def _up(x: Column, most: int) -> Column:
     return F.floor((x + (most - 1)) / most).cast("bigint")
 
 
+def _chunk() -> Column:
+    return F.floor(F.col("word_no") / CHUNK).cast("bigint")
+
+
+def runs_of_words(words: DataFrame, full: int, by: list[str]) -> DataFrame:
+    """(by..., chunk, run, start, len, ones, gap, edge): runs of words of one kind (ones: 0 or 1) in each stretch.
+
+    gap: zero words between the run and the one before it in its stretch. edge: the first and
+    the last run of a stretch, which may go on in the next one.
+    """
+    w = W.partitionBy(*by, "chunk").orderBy("word_no")
+    typed = words.withColumn("chunk", _chunk()).withColumn("ones", (F.col("bits") == full).cast("int"))
+    before = F.struct("word_no", "ones")
+    typed = typed.withColumn("before", F.lag(before).over(w))
+    new = F.coalesce(((F.col("word_no") != F.col("before.word_no") + 1) | (F.col("ones") != F.col("before.ones"))).cast("int"), F.lit(1))
+    gap = F.coalesce(F.col("word_no") - F.col("before.word_no") - 1, F.lit(0))
+    numbered = typed.select(*by, "chunk", "word_no", "ones", gap.alias("gap"), F.sum(new).over(w).alias("run"))
+    runs = numbered.groupBy(*by, "chunk", "run").agg(F.min("word_no").alias("start"), F.count("*").alias("len"), F.any_value("ones").alias("ones"), F.sum("gap").alias("gap"))
+    last = F.max("run").over(W.partitionBy(*by, "chunk"))
+    return runs.withColumn("edge", (F.col("run") == 1) | (F.col("run") == last))
+
+
+def joined_edges(edges: DataFrame, by: list[str]) -> DataFrame:
+    """Edge runs with those they go on in put together: (by..., start, len, ones, gap to the stretch before)."""
+    w = W.partitionBy(*by).orderBy("start")
+    end = F.col("start") + F.col("len")
+    seen = edges.select(*by, "chunk", "start", "len", "ones", F.lag(F.struct(end.alias("end"), F.col("ones"), F.col("chunk"))).over(w).alias("p"))
+    goes_on = (F.col("start") == F.col("p.end")) & (F.col("ones") == F.col("p.ones"))
+    across = F.coalesce(F.col("chunk") != F.col("p.chunk"), F.lit(True))
+    gap = F.when(across, F.col("start") - F.coalesce(F.col("p.end"), F.lit(0))).otherwise(F.lit(0))
+    seen = seen.withColumn("gap", gap).withColumn("group", F.sum(F.when(F.coalesce(goes_on, F.lit(False)), 0).otherwise(1)).over(w))
+    return seen.groupBy(*by, "group").agg(F.min("start").alias("start"), F.sum("len").alias("len"), F.any_value("ones").alias("ones"), F.sum("gap").alias("gap"))
+
+
 def segments(words: DataFrame, n_words: int, full: int, by: list[str]) -> DataFrame:
-    """(by..., zero_runs, zero_words by chunk counts, ones and literals) summed for each bitmap.
+    """(by..., literals, literal_marks, one_marks, one_fills, zero_marks, zero_fills, one_words, starts_literal) of each bitmap.
 
-    zero_marks: markers for zero runs of at most CLEAN_MAX words; zero_fills: the same by FILL_MAX.
+    marks count markers (runs cut at CLEAN_MAX or LITERAL_MAX words), fills the same by FILL_MAX.
+    Runs are found in stretches of CHUNK words, so a bitmap is no single task however long it is;
+    what passes from one stretch to the next is one or two rows of each.
     """
-    typed, run = _islands(words, full, by)
-    runs = typed.withColumn("run", run).groupBy(*by, "ones", "run").agg(F.count("*").alias("len"))
-    w = W.partitionBy(*by).orderBy("word_no")
-    gaps = words.select(*by, "word_no", (F.col("word_no") - F.coalesce(F.lag("word_no").over(w), F.lit(-1)) - 1).alias("gap"))
-    per_run = runs.groupBy(*by).agg(
-        F.sum(F.when(F.col("ones") == 0, F.col("len")).otherwise(F.lit(0))).alias("literals"),
-        F.sum(F.when(F.col("ones") == 0, _up(F.col("len"), LITERAL_MAX) - 1).otherwise(F.lit(0))).alias("literal_marks"),
-        F.sum(F.when(F.col("ones") == 1, _up(F.col("len"), CLEAN_MAX)).otherwise(F.lit(0))).alias("one_marks"),
-        F.sum(F.when(F.col("ones") == 1, _up(F.col("len"), FILL_MAX)).otherwise(F.lit(0))).alias("one_fills"),
+    runs = runs_of_words(words, full, by)
+    whole = runs.where(~F.col("edge")).select(*by, "start", "len", "ones", "gap")
+    # the gap before a run inside a stretch is known there, for edge runs too
+    inside = runs.where("edge").select(*by, "start", F.lit(0).cast("bigint").alias("len"), F.lit(-1).alias("ones"), "gap")
+    outer = joined_edges(runs.where("edge"), by).select(*by, "start", "len", "ones", "gap")
+    every = whole.unionByName(inside).unionByName(outer)
+    lit, one = F.col("ones") == 0, F.col("ones") == 1
+    add = lambda held, x: F.sum(F.when(held, x).otherwise(F.lit(0)))
+    out = every.groupBy(*by).agg(
+        add(lit, F.col("len")).alias("literals"),
+        add(lit, _up(F.col("len"), LITERAL_MAX) - 1).alias("literal_marks"),
+        add(one, _up(F.col("len"), CLEAN_MAX)).alias("one_marks"),
+        add(one, _up(F.col("len"), FILL_MAX)).alias("one_fills"),
+        add(one, F.col("len")).alias("one_words"),
+        F.sum(_up(F.col("gap"), CLEAN_MAX)).alias("zero_marks"),
+        F.sum(_up(F.col("gap"), FILL_MAX)).alias("zero_fills"),
+        F.max(F.when(lit & (F.col("start") == 0), 1).otherwise(0)).alias("starts_literal"),
+        F.max(F.when(F.col("ones") >= 0, F.col("start") + F.col("len"))).alias("end"),
+    )
+    tail = F.lit(n_words) - F.col("end")
+    return out.withColumn("zero_marks", F.col("zero_marks") + _up(tail, CLEAN_MAX)).withColumn("zero_fills", F.col("zero_fills") + _up(tail, FILL_MAX)).drop("end")
+
+
+def bit_runs(words: DataFrame, n_rows: int, by: list[str], word_bits: int = 32) -> DataFrame:
+    """(by..., one_runs, zero_runs, first_bit, last_bit) of each bitmap: runs of set bits, and of bits not set, among n_rows."""
+    w = W.partitionBy(*by, "chunk").orderBy("word_no")
+    top = F.expr(f"cast(shiftright(bits, {word_bits - 1}) & 1 as int)")
+    low = F.expr("cast(bits & 1 as int)")
+    seen = words.withColumn("chunk", _chunk()).withColumn("p", F.lag(F.struct("word_no", top.alias("top"))).over(w))
+    starts = F.expr(f"bit_count(bits & ~(shiftleft(bits, 1) & {(1 << word_bits) - 1}L))")
+    goes_on = F.when((F.col("p.word_no") == F.col("word_no") - 1) & (F.col("p.top") == 1) & (low == 1), 1).otherwise(0)
+    last = (n_rows - 1) // word_bits
+    at_end = F.expr(f"cast(shiftright(bits, {(n_rows - 1) % word_bits}) & 1 as int)") if n_rows else F.lit(0)
+    per = seen.groupBy(*by, "chunk").agg(
+        F.sum(starts - goes_on).cast("bigint").alias("runs"),
+        F.min_by(F.struct("word_no", low.alias("bit")), "word_no").alias("first"),
+        F.max_by(F.struct("word_no", top.alias("bit")), "word_no").alias("last"),
+        F.max(F.when(F.col("word_no") == 0, low).otherwise(0)).alias("first_bit"),
+        F.max(F.when(F.col("word_no") == last, at_end).otherwise(0)).alias("last_bit"),
     )
-    first = typed.groupBy(*by).agg(F.max(F.when((F.col("word_no") == 0) & (F.col("ones") == 0), 1).otherwise(0)).alias("starts_literal"), F.max("word_no").alias("last"), F.sum("ones").alias("one_words"))
-    per_gap = gaps.groupBy(*by).agg(F.sum(_up(F.col("gap"), CLEAN_MAX)).alias("zero_marks"), F.sum(_up(F.col("gap"), FILL_MAX)).alias("zero_fills"))
-    tail = F.lit(n_words) - 1 - F.col("last")
-    out = per_run.join(per_gap, by).join(first, by)
-    return out.withColumn("zero_marks", F.col("zero_marks") + _up(tail, CLEAN_MAX)).withColumn("zero_fills", F.col("zero_fills") + _up(tail, FILL_MAX)).drop("last")
+    p = F.lag("last").over(W.partitionBy(*by).orderBy("chunk"))
+    joined = F.when((p["word_no"] == F.col("first.word_no") - 1) & (p["bit"] == 1) & (F.col("first.bit") == 1), 1).otherwise(0)
+    per = per.withColumn("joined", joined)
+    out = per.groupBy(*by).agg((F.sum("runs") - F.sum("joined")).cast("bigint").alias("one_runs"), F.max("first_bit").alias("first_bit"), F.max("last_bit").alias("last_bit"))
+    return out.withColumn("zero_runs", (F.col("one_runs") + 1 - F.col("first_bit") - F.col("last_bit")).cast("bigint"))
 
 
 def sizes_marker32(words: DataFrame, n_rows: int, by: tuple[str, ...] = ("attr", "bitmap_id")) -> DataFrame:

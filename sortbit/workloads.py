@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,11 +14,15 @@ from .roworder import BlockSorted, GrayCode, Grouped, Lexicographic, Shuffled
 
 @dataclass(frozen=True)
 class Projection:
-    """cols: (name, SQL expression), from the least cardinality to the largest; key: SQL expressions that name a row."""
+    """cols: (name, SQL expression), from the least cardinality to the largest; key: SQL expressions that name a row.
+
+    joins: (dimension table, condition), inner.
+    """
 
     table: str
     cols: tuple[tuple[str, str], ...]
     key: tuple[str, ...]
+    joins: tuple[tuple[str, str], ...] = ()
 
     @property
     def names(self) -> list[str]:
@@ -25,7 +30,25 @@ class Projection:
 
     def load(self, spark: SparkSession, sf_dir: str) -> DataFrame:
         keys = [F.expr(k).alias(f"key_{i}") for i, k in enumerate(self.key)]
-        return read_table(spark, sf_dir, self.table).select(*[F.expr(e).alias(n) for n, e in self.cols], *keys)
+        df = read_table(spark, sf_dir, self.table)
+        for table, on in self.joins:
+            df = df.join(read_table(spark, sf_dir, table), F.expr(on))
+        return df.select(*[F.expr(e).alias(n) for n, e in self.cols], *keys)
+
+    def source_sql(self) -> str:
+        return self.table + "".join(f" JOIN {t} ON {on}" for t, on in self.joins)
+
+    def select_sql(self) -> str:
+        """The projection in DuckDB's words, with the row keys as key_0, key_1, ..."""
+        cols = ", ".join(f"{duck(e)} AS {n}" for n, e in self.cols)
+        keys = ", ".join(f"{duck(e)} AS key_{i}" for i, e in enumerate(self.key))
+        return f"SELECT {cols}, {keys} FROM {self.source_sql()}"
+
+    def shuffle_sql(self) -> str:
+        return md5_sql(42, [f"key_{i}" for i in range(len(self.key))])
+
+    def grouped_sql(self) -> str:
+        return md5_sql(42, [duck(whole(n)) for n in self.names]) + ", " + ", ".join(self.names)
 
     def order(self, name: str, k: int = 1):
         """shuffle, grouped, asc, desc, gray_asc, gray_desc, or blocks<B> (the shuffled rows, cut, each block in desc order)."""
@@ -42,6 +65,15 @@ class Projection:
         return Lexicographic(columns)
 
 
+def duck(expr: str) -> str:
+    """A Spark expression of this module in DuckDB's words."""
+    return re.sub(r"datediff\((\w+), (date '[^']+')\)", r"date_diff('day', \2, \1)", expr.replace("0.0D", "0.0"))
+
+
+def md5_sql(seed: int, exprs: list[str]) -> str:
+    return f"md5(concat_ws('|', '{seed}', {', '.join(f'cast({e} as varchar)' for e in exprs)}))"
+
+
 #: Columns whose text differs between engines, and a whole number that stands for the value in hash keys.
 WHOLE = {
     "l_discount": "cast(round(l_discount * 100) as bigint)",
@@ -50,6 +82,7 @@ WHOLE = {
     "value": "cast(round(value * 10000) as bigint)",
     "top_value": "cast(round(top_value * 10000) as bigint)",
     "l_shipdate": "datediff(l_shipdate, date '1990-01-01')",
+    "o_orderdate": "datediff(o_orderdate, date '1990-01-01')",
 }
 
 
@@ -74,4 +107,10 @@ PROJECTIONS = {
     "p_frequent": Projection("lineitem", _same("l_returnflag", "l_suppkey", "l_shipdate"), _LINE_KEY),
     "p_docs": Projection("documents", _same("lang", "source", "n_chars"), ("doc_id",)),
     "p_ten": Projection("lineitem", _same("l_linestatus", "l_returnflag", "l_linenumber", "l_tax", "l_discount", "l_quantity", "l_suppkey", "l_partkey", "l_shipdate", "l_orderkey"), _LINE_KEY),
+    "p_ten_real": Projection(
+        "orders",
+        _same("o_orderstatus", "o_orderpriority", "r_name", "c_mktsegment", "n_name", "o_orderdate", "o_custkey"),
+        ("o_orderkey",),
+        (("customer", "o_custkey = c_custkey"), ("nation", "c_nationkey = n_nationkey"), ("region", "n_regionkey = r_regionkey")),
+    ),
 }

@@ -50,6 +50,20 @@ def test_sparse_encoder_writes_the_same_bytes():
         assert marker32.from_nonzero(numbers, values, len(bits)) == payload
 
 
+def test_many_payloads_at_once_are_those_of_each():
+    from sortbit.codec.marker32_many import payloads
+
+    for n, p, m in ((1000, 0.02, 40), (1000, 0.5, 9), (1000, 0.99, 9), (32 * 70_000, 0.7, 2), (32 * 70_000, 1, 1), (33, 0.1, 20)):
+        each = [words_of((rng.random(n) < p).astype(np.uint8)) for _ in range(m)]
+        if n > 1000:
+            each[0][5:69_000] = 0  # a clean run beyond one marker
+        each = [w for w in each if w.any()]
+        edges = np.concatenate(([0], np.cumsum([np.count_nonzero(w) for w in each])))
+        stream, offsets = payloads(edges, np.concatenate([np.flatnonzero(w) for w in each]), np.concatenate([w[w != 0] for w in each]), n)
+        got = [stream[a:b].astype("<u4").tobytes() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
+        assert got == [marker32.encode(w, n) for w in each]
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.integers(1, 400), st.integers(0, 1 << 32), st.sampled_from([0.01, 0.5, 0.99]))
 def test_operations(n, seed, p):

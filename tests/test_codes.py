@@ -75,3 +75,19 @@ def test_directions_flip_with_odd_weights():
 def test_hierarchy_codes_restart_in_each_parent(spark):
     df = spark.createDataFrame([("ca", "mtl"), ("ca", "tor"), ("fr", "par")], "country string, city string")
     assert sorted(map(tuple, assign_hierarchy(df, ["country", "city"]).collect())) == [("ca", "mtl", 0, 0), ("ca", "tor", 0, 1), ("fr", "par", 1, 0)]
+
+
+def test_numpy_ranking_inverts_and_equals_the_expressions(spark):
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from sortbit.codes import unrank
+    from sortbit.ranking import ordinals_of, positions_of
+
+    for size, k in ((6, 1), (9, 2), (9, 3), (10, 4)):
+        for allocation in ("alpha", "gray"):
+            n = comb(size, k)
+            codes = positions_of(np.arange(n), size, k, allocation)
+            assert np.array_equal(ordinals_of(codes, size, allocation), np.arange(n))
+            got = [r[0] for r in spark.range(n).orderBy("id").select(unrank(F.col("id"), size, k, allocation)).collect()]
+            assert got == codes.tolist()
