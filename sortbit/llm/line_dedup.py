@@ -1,95 +1,115 @@
-"""Line deduplication from repeated runs of lines, by prefix doubling over line ids.
-
-Every line gets an id, and the corpus is the sequence of all documents' line ids. Prefix
-doubling names, for lengths 1, 2, 4, ..., each suffix by the first 2**k of its lines: the
-class of a suffix is the position where that block of lines occurs first, found from the
-classes of its two halves. Suffixes of one class share a prefix of 2**k lines, so classes
-are the suffix array's longest-common-prefix intervals, named by their first member
-instead of by rank. Only positions whose block recurs go into the next round.
-
-A line is deleted when it lies in a run of consecutive lines, `min_chars` characters long
-at least (each line counts its end), that also occurs, line for line, at an earlier
-position (by id, then line number). Every maximal repeated run is a union of shortest
-blocks of that length, reaching forward from its lines or back from them, so it is enough
-to test those: a block of w lines is named by its two overlapping halves of 2**k lines. As
-each line counts at least one character, no block has more than `min_chars` lines, and the
-rounds end after log2(min_chars) of them.
-
-Line ids are 128-bit hashes. All steps are DataFrame operations.
-
-A null text stays null, an empty text has one empty line. Lines end at \\n alone. Rows that
-repeat an id are not allowed. Where all lines of a text go, the text becomes empty.
+"""Line deduplication by a suffix array over line ids, made by distributed prefix doubling.
+
+Every line gets an id, and the corpus is the sequence of all documents' line ids; a suffix
+ends with its text. Prefix doubling ranks the suffixes by their first 1, 2, 4, ... lines: the
+distinct pairs of two halves' ranks are sorted across the cluster, and their places are the
+next ranks. A suffix whose prefix no other shares is settled and leaves the rounds. Suffixes
+of one rank are a longest-common-prefix interval of the suffix array: they agree in that many
+lines at least. An interval of any length w between two rounds is ranked by the pair of its
+first and its last 2**k lines, which overlap. Each interval carries its first position (by id,
+then line number).
+
+A line is deleted when it lies in a repeated run of consecutive lines, `min_chars` characters
+long at least (each line counts its end), that also occurs, line for line, at an earlier
+position. The array is ranked as deep as that asks for: a maximal repeated run of such length
+is the union of the shortest blocks of that length that begin or end at its lines, so the
+intervals of those blocks show it whole, however long it is. Blocks that overlap or touch are
+merged into runs, text by text. As each line counts at least one character, no block has more
+than `min_chars` lines, and the rounds end after log2(min_chars) of them.
+
+Line ids are 128-bit hashes. All steps are DataFrame operations; character offsets are one
+running sum for each text, so a text costs in proportion to its lines. A line that many
+positions share is joined by broadcast, apart from the others (`hot_rows`).
+
+A null text stays null, an empty text has one empty line. Lines end at \\n alone. Where all
+lines of a text go, the text becomes empty. Rows that repeat an id and its text are one
+document, and all get its result; different texts under one id are documents of their own, in
+the order of their hashes. Rows without an id stay as they are. No rows: no rows.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from .base import Kept, keep
 
-#: 51 words have at least 101 characters, so no passage of over 50 words is missed.
-MIN_CHARS = 100
+#: Shorter runs are left where they are: greetings, numbers and other lines of a word or two.
+MIN_CHARS = 20
+#: Positions from which one key is joined apart from the others.
+HOT_ROWS = 1_000_000
 
 
-def _block_length(lengths: Column, at: Column, step: int, min_chars: int) -> Column:
-    """Lines from `at` (1-based) on, forward or back, until min_chars are reached; null if the text ends before."""
-    one = F.element_at(lengths, at.cast("int"))
-    span = F.slice(lengths, at.cast("int"), F.lit(min_chars)) if step > 0 else F.reverse(F.slice(lengths, F.greatest(F.lit(1), at - (min_chars - 1)).cast("int"), F.least(at, F.lit(min_chars)).cast("int")))
-    start = F.struct(F.lit(0).alias("chars"), F.lit(0).alias("n"))
-    took = F.aggregate(span, start, lambda a, x: F.when(a["chars"] >= min_chars, a).otherwise(F.struct((a["chars"] + x).alias("chars"), (a["n"] + 1).alias("n"))))
-    return F.when(one >= min_chars, F.lit(1)).when(took["chars"] >= min_chars, took["n"])
+def numbered_lines(docs: DataFrame) -> DataFrame:
+    """(id, line, h1, h2, start, n, total): each line's number, hashes, offset and length with its end, and its text's length."""
+    each = docs.where("id is not null and text is not null").select("id", (F.length("text") + 1).alias("total"), F.posexplode(F.split("text", "\n")).alias("line", "s"))
+    each = each.select("id", "total", "line", F.xxhash64("s").alias("h1"), F.xxhash64(F.lit(7), "s").alias("h2"), (F.length("s") + 1).alias("n"))
+    upto = F.sum("n").over(W.partitionBy("id").orderBy("line").rowsBetween(W.unboundedPreceding, 0))
+    return each.withColumn("start", upto - F.col("n"))
 
 
-def numbered_lines(docs: DataFrame, min_chars: int) -> DataFrame:
-    """(id, line, h1, h2, forward, back) for every line; forward and back: block lengths."""
-    lines = docs.where(F.col("text").isNotNull()).select("id", F.split("text", "\n").alias("lines"))
-    lines = lines.withColumn("lengths", F.transform("lines", lambda x: F.length(x) + 1))
-    each = lines.select("id", "lengths", F.posexplode("lines").alias("line", "s"))
-    at = F.col("line") + 1
-    return each.select("id", "line", F.xxhash64("s").alias("h1"), F.xxhash64(F.lit(7), "s").alias("h2"), _block_length(F.col("lengths"), at, 1, min_chars).alias("forward"), _block_length(F.col("lengths"), at, -1, min_chars).alias("back"))
+def ranked(rows: DataFrame, by: list[str], hot_rows: int = HOT_ROWS) -> DataFrame:
+    """rows whose `by` columns recur, with `rank`, their place in the order of those columns, and `first`, the least of their positions."""
+    groups = rows.groupBy(*by).agg(F.min("position").alias("first"), F.count("*").alias("times")).where("times > 1")
+    named = keep(groups.orderBy(*by).withColumn("rank", F.monotonically_increasing_id()))
+    hot = named.where(F.col("times") >= hot_rows).drop("times")  # at most one in `hot_rows` of the rows
+    if hot.isEmpty():
+        return rows.join(named.drop("times"), by)
+    often = rows.join(F.broadcast(hot), by)
+    rest = rows.join(F.broadcast(hot.select(*by)), by, "left_anti").join(named.where(F.col("times") < hot_rows).drop("times"), by)
+    return often.unionByName(rest)
 
 
-def _named(rows: DataFrame, by: list[str], name: str) -> DataFrame:
-    """rows whose `by` columns recur, with the first of their positions as `name`."""
-    first = keep(rows.groupBy(*by).agg(F.min("position").alias(name), F.count("*").alias("n")).where("n > 1").drop("n"))
-    return rows.join(first, by)
+def _shortest_blocks(lines: DataFrame, min_chars: int) -> DataFrame:
+    """(id, line, w), distinct: blocks of w lines from `line` that reach min_chars and no longer would without their last, or first, line.
 
-
-def repeated_blocks(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
-    """(id, first_line, last_line): blocks that occur at an earlier position too. docs: id, text."""
-    most = docs.agg(F.max(F.size(F.split("text", "\n"))), F.min("id"), F.max("id")).first()
-    lines_bits = max(1, int(most[0] or 1)).bit_length() + 1  # twice the longest text, so that no block reaches the next one
+    lines: the repeated ones alone; a block with any other line repeats nowhere.
+    """
+    ahead = W.partitionBy("id").orderBy("start").rangeBetween(0, min_chars - 1)
+    back = W.partitionBy("id").orderBy("end").rangeBetween(1 - min_chars, 0)
+    seen = lines.select("id", "line", F.col("start").cast("long").alias("start"), (F.col("start") + F.col("n")).cast("long").alias("end"), "n")
+    seen = seen.withColumn("w1", F.count("*").over(ahead)).withColumn("to", F.max("line").over(ahead)).withColumn("chars1", F.sum("n").over(ahead))
+    seen = seen.withColumn("w2", F.count("*").over(back)).withColumn("from", F.min("line").over(back)).withColumn("chars2", F.sum("n").over(back))
+    one = seen.where((F.col("to") - F.col("line") + 1 == F.col("w1")) & (F.col("chars1") >= min_chars)).select("id", "line", F.col("w1").alias("w"))
+    two = seen.where((F.col("line") - F.col("from") + 1 == F.col("w2")) & (F.col("chars2") >= min_chars)).select("id", F.col("from").alias("line"), F.col("w2").alias("w"))
+    return one.union(two).distinct()
+
+
+def repeated_blocks(docs: DataFrame, min_chars: int = MIN_CHARS, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """(id, first_line, last_line): blocks that occur at an earlier position too. docs: id (whole numbers, none twice), text."""
+    rows = Kept(numbered_lines(docs))
+    most = rows.df.agg(F.max("line"), F.min("id"), F.max("id")).first()
+    lines_bits = max(1, int(most[0] or 0) + 1).bit_length() + 1  # twice the longest text, so that no block reaches the next one
     low = int(most[1] or 0)
     fits = (int(most[2] or 0) - low).bit_length() + lines_bits <= 62
     kind = "bigint" if fits else "decimal(38,0)"
     position = (F.col("id").cast(kind) - F.lit(low).cast(kind)) * F.lit(1 << lines_bits).cast(kind) + F.col("line").cast(kind)
-    rows = numbered_lines(docs, min_chars).withColumn("position", position.cast(kind))
 
-    level = Kept(_named(rows, ["h1", "h2"], "name").select("id", "line", "position", "name", "forward", "back"))
-    repeated = level.df
-    parts = [repeated.where("name < position").select("id", F.col("line").alias("first_line"), F.col("line").alias("last_line")).where((F.col("forward") == 1) | (F.col("back") == 1))]
-    longest = repeated.agg(F.max(F.greatest(F.coalesce("forward", F.lit(1)), F.coalesce("back", F.lit(1))))).first()[0] or 1
+    lines = Kept(ranked(rows.df.withColumn("position", position.cast(kind)), ["h1", "h2"], hot_rows).drop("h1", "h2", "total"))
+    rows.drop()
+    blocks = keep(_shortest_blocks(lines.df, min_chars))
+    level = Kept(lines.df.select("id", "line", "position", "rank", "first"))
+    lines.drop()
+    single = blocks.where("w = 1").join(level.df.where("first < position"), ["id", "line"])
+    parts = [keep(single.select("id", F.col("line").alias("first_line"), F.col("line").alias("last_line")))]
+    longest = blocks.agg(F.max("w")).first()[0] or 1
     length = 1
     while length < longest:
-        # classes of blocks of length + 1 .. 2 * length lines, from two overlapping blocks of `length` lines
-        blocks = level.df
-        some = [repeated.select("id", F.col(way).alias("w"), (F.col("line") + start * (F.col(way) - 1)).alias("line")) for way, start in (("forward", 0), ("back", -1))]
-        some = some[0].union(some[1]).where((F.col("w") > length) & (F.col("w") <= 2 * length)).distinct()
-        left = blocks.select("id", "line", "position", F.col("name").alias("left"))
-        right = blocks.select("id", (F.col("line") + length).alias("end"), F.col("name").alias("right"))
-        pairs = some.join(left, ["id", "line"]).withColumn("end", F.col("line") + F.col("w")).join(right, ["id", "end"])
-        pairs = Kept(pairs.select("id", "line", "w", "position", "left", "right"))
-        named = _named(pairs.df, ["w", "left", "right"], "name")
-        parts.append(keep(named.where("name < position").select("id", F.col("line").alias("first_line"), (F.col("line") + F.col("w") - 1).alias("last_line"))))
+        # intervals of length + 1 .. 2 * length lines, by the ranks of their first and last `length` lines
+        suffixes = level.df
+        left = suffixes.select("id", "line", "position", F.col("rank").alias("left"))
+        right = suffixes.select("id", (F.col("line") + length).alias("end"), F.col("rank").alias("right"))
+        some = blocks.where((F.col("w") > length) & (F.col("w") <= 2 * length))
+        pairs = Kept(some.join(left, ["id", "line"]).withColumn("end", F.col("line") + F.col("w")).join(right, ["id", "end"]).select("id", "line", "w", "position", "left", "right"))
+        later = ranked(pairs.df, ["w", "left", "right"], hot_rows).where("first < position")
+        parts.append(keep(later.select("id", F.col("line").alias("first_line"), (F.col("line") + F.col("w") - 1).cast("int").alias("last_line"))))
         pairs.drop()
         if 2 * length >= longest:
             break
         ahead = W.partitionBy("id").orderBy("line").rangeBetween(length, length)
-        doubled = blocks.withColumn("after", F.first("name").over(ahead)).where(F.col("after").isNotNull())
-        doubled = doubled.withColumnRenamed("name", "before")
-        level = Kept(_named(doubled, ["before", "after"], "name").select("id", "line", "position", "name"))
+        doubled = suffixes.select("id", "line", "position", F.col("rank").alias("left"), F.first("rank").over(ahead).alias("right")).where("right is not null")
+        level = Kept(ranked(doubled, ["left", "right"], hot_rows).select("id", "line", "position", "rank", "first"))
         length *= 2
     out = parts[0]
     for part in parts[1:]:
@@ -98,7 +118,7 @@ def repeated_blocks(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
 
 
 def kept_ranges(blocks: DataFrame) -> DataFrame:
-    """(id, gone): for each text the deleted lines as merged ranges [first, last], in order."""
+    """(id, gone): for each text the runs to delete, as merged ranges [first, last] of its blocks, in order."""
     seen = W.partitionBy("id").orderBy("first_line", "last_line")
     before = F.max("last_line").over(seen.rowsBetween(W.unboundedPreceding, -1))
     new = F.when(F.col("first_line") <= before + 1, 0).otherwise(1)
@@ -114,16 +134,25 @@ def without(lines: Column, gone: Column) -> Column:
     return F.flatten(F.transform(F.arrays_zip(starts.alias("s"), ends.alias("e")), lambda r: F.slice(lines, r["s"] + 1, r["e"] - r["s"])))
 
 
-def deduplicate_lines(docs: DataFrame, min_chars: int = MIN_CHARS, id_col: str = "doc_id", count_as: str | None = None) -> DataFrame:
+def deduplicate_lines(docs: DataFrame, min_chars: int = MIN_CHARS, id_col: str = "doc_id", count_as: str | None = None, hot_rows: int = HOT_ROWS) -> DataFrame:
     """docs with later copies of repeated line runs deleted from `text`; all their columns.
 
     count_as: a further column with the number of deleted lines.
     """
-    plain = docs.select(F.col(id_col).cast("long").alias("id"), "text")
-    found = keep(kept_ranges(repeated_blocks(plain, min_chars)))
+    plain = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), "text")
+    twice = not plain.where("id is not null").groupBy("id").count().where("count > 1").isEmpty()
+    if twice:  # ids of our own, one for each id and text, in the same order
+        at = plain.where("id is not null").select("id", F.xxhash64("text").alias("h"), "text").dropDuplicates(["id", "h"])
+        unique = keep(at.orderBy("id", "h").withColumn("key", F.monotonically_increasing_id()))
+        plain = unique.select(F.col("key").alias("id"), "text")
+    found = keep(kept_ranges(repeated_blocks(plain, min_chars, hot_rows)))
     gone = found.select(F.col("id").alias("__id"), F.col("gone").alias("__gone"))
+    on = docs[id_col].cast("long") == F.col("__id")
+    if twice:
+        gone = gone.join(unique.select(F.col("key").alias("__id"), F.col("id").alias("__of"), F.col("h").alias("__h")), "__id")
+        on = (docs[id_col].cast("long") == F.col("__of")) & (F.xxhash64(docs["text"]) == F.col("__h"))
     # the ranges grow with the corpus, so the join is a merge at every size
-    joined = docs.join(gone.hint("merge"), docs[id_col].cast("long") == gone["__id"], "left")
+    joined = docs.join(gone.hint("merge"), on, "left")
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(without(F.split("text", "\n"), F.col("__gone")), "\n"))
     out = [text.alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns]
     if count_as:

@@ -92,11 +92,11 @@ LINE_DEDUP_SQL = r"""
             FROM {docs} WHERE text IS NOT NULL),
         long AS (SELECT doc_id, i, s, sum(length(s) + 1) OVER (PARTITION BY doc_id ORDER BY i) AS upto, length(s) + 1 AS n FROM line),
         block AS (
-            SELECT a.doc_id, a.i AS first_line, min(b.i) AS last_line FROM long a JOIN long b ON b.doc_id = a.doc_id AND b.i BETWEEN a.i AND a.i + 99
-            WHERE b.upto - a.upto + a.n >= 100 GROUP BY ALL
+            SELECT a.doc_id, a.i AS first_line, min(b.i) AS last_line FROM long a JOIN long b ON b.doc_id = a.doc_id AND b.i BETWEEN a.i AND a.i + {most} - 1
+            WHERE b.upto - a.upto + a.n >= {most} GROUP BY ALL
             UNION
-            SELECT b.doc_id, max(a.i), b.i FROM long a JOIN long b ON b.doc_id = a.doc_id AND a.i BETWEEN b.i - 99 AND b.i
-            WHERE b.upto - a.upto + a.n >= 100 GROUP BY b.doc_id, b.i),
+            SELECT b.doc_id, max(a.i), b.i FROM long a JOIN long b ON b.doc_id = a.doc_id AND a.i BETWEEN b.i - {most} + 1 AND b.i
+            WHERE b.upto - a.upto + a.n >= {most} GROUP BY b.doc_id, b.i),
         content AS (
             SELECT k.doc_id, first_line, last_line, list_slice(string_split(d.text, chr(10)), first_line, last_line) AS body
             FROM block k JOIN {docs} d ON d.doc_id = k.doc_id),
@@ -125,7 +125,7 @@ QUERIES = {
 #: DuckDB SQL for the queries that SQL can express.
 ORACLES: dict[str, str] = {
     "op2_license_scan": license_sql(),
-    "op4_line_dedup": LINE_DEDUP_SQL.format(docs="documents")
+    "op4_line_dedup": LINE_DEDUP_SQL.format(docs="documents", most=line_dedup.MIN_CHARS)
     + """
         SELECT d.doc_id, coalesce(list_sum(flags::BIGINT[]), 0)::BIGINT AS deleted_lines, md5(s.text) AS text_md5
         FROM documents d LEFT JOIN stripped s ON s.doc_id = d.doc_id

@@ -3,6 +3,7 @@
 import corpus_pipeline
 from sortbit.llm import queries
 from sortbit.llm.base import keep, read
+from sortbit.llm.line_dedup import MIN_CHARS
 
 from .test_operators import brute_components, brute_lines, check_pieces
 from sortbit.llm.packing import Limits
@@ -19,7 +20,7 @@ def test_stages(spark, sf_dir):
     kept = keep(stage["toxicity"](spark, docs, sf_dir))
     assert kept.columns == columns and 0 < kept.count() <= 90
     lines = keep(stage["line_dedup"](spark, kept, sf_dir))
-    assert lines.columns == columns and by_id(lines) == brute_lines(by_id(kept), 100)
+    assert lines.columns == columns and by_id(lines) == brute_lines(by_id(kept), MIN_CHARS)
     assert lines.where("n_chars <> length(text)").count() == 0
     near = keep(stage["near_dedup"](spark, lines, sf_dir))
     assert near.columns == columns and set(by_id(near)) == {d for d, (_, c) in brute_components(by_id(lines)).items() if c == d}
