@@ -111,7 +111,7 @@ def _document_frequency(texts: pa.Array | list[str], widths: tuple[int, ...]) ->
     return df
 
 
-def train(positive: pa.Array | list[str], unlabelled: pa.Array | list[str], prior: float, widths=(5, 7), n_features: int = 1024, least_z: float = 4.0, steps: int = 500, rate: float = 0.05, decay: float = 1e-4) -> ToxicityModel:
+def train(positive: pa.Array | list[str], unlabelled: pa.Array | list[str], prior: float, widths=(5, 7), n_features: int = 1024, least_z: float = 5.0, steps: int = 500, rate: float = 0.05, decay: float = 1e-3) -> ToxicityModel:
     """The model for two samples of texts. A prior beyond [0.001, 0.9] is moved there."""
     if not len(positive) or not len(unlabelled):
         return ToxicityModel(widths)
@@ -120,7 +120,8 @@ def train(positive: pa.Array | list[str], unlabelled: pa.Array | list[str], prio
     seen = np.flatnonzero(dp + du >= 3)
     p, u = (dp[seen] + 0.5) / (len(positive) + 1), (du[seen] + 0.5) / (len(unlabelled) + 1)
     del dp, du
-    z = np.abs(p - u) / np.sqrt(p * (1 - p) / len(positive) + u * (1 - u) / len(unlabelled))
+    # the root of the likelihood ratio holds for rare n-grams and few positives, where a normal z is too small
+    z = np.sqrt(2 * len(positive) * np.maximum(p * np.log(p / u) + (1 - p) * np.log((1 - p) / (1 - u)), 0))
     weight = np.where(z >= least_z, z * np.abs(np.log(p / u)), 0)
     best = np.argsort(-weight, kind="stable")[:n_features]
     model = ToxicityModel(tuple(widths), np.sort(seen[best[weight[best] > 0]]).astype(np.int64))
