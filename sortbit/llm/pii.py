@@ -1,21 +1,26 @@
 """Personal data replaced by keyed surrogates of the same type and format.
 
-Found are e-mail addresses, IPv4 addresses, telephone numbers, card-like numbers, secrets
-(hexadecimal keys, and what a name with token, key or password in it, in any case, is set to) and names (after a title,
-or a known given name with a surname). A surrogate depends on a key, the entity's type and
-its canonical form alone, so one entity has one surrogate in all documents (coreference):
-
-* letters stay letters of the same script, digits digits, signs and groups stay in place;
-* text in capitals stays in capitals;
-* names keep their title and get a given name of the same gender and script.
-
-Distinctness: over the distinct entities of the corpus, a surrogate that two entities of a
-type share, or that is itself some entity of the corpus, is made anew with the next attempt
-number (all but the least entity, until none is left). Those few entities and their attempt
-numbers are joined back to the documents that hold them.
-
-All steps are DataFrame operations. A null text stays null; one without entities stays as
-it is. Entities do not overlap: at one place the leftmost counts, then the order above.
+Found are e-mail addresses, IPv4 and IPv6 addresses, telephone numbers, IBANs, card-like
+numbers, secrets (hexadecimal keys, and what a name with token, key or password in it, in any
+case, is set to) and names (after a title, or a known given name with a surname). A surrogate
+depends on a key, the entity's type and its canonical form alone, so one entity has one
+surrogate in all documents:
+
+* letters stay letters of the same script and case, digits digits, signs and groups stay in place;
+* a phone number keeps its country's number or its leading 0, an IBAN its country;
+* a name is replaced part by part: each given name by one of the same gender and script, the
+  surname by one of the same script, an initial by an initial; the title stays. So "Mr. John
+  Smith", "John Smith" and "Mr. Smith" keep their common parts (coreference).
+
+Distinctness: over the distinct entities and name parts of the corpus, a surrogate that two of
+them share, or that is itself some entity of the corpus, is made anew with the next attempt
+number (all but the least entity, until none is left). A given name may be someone else's, but
+not its own. Those few entities and their attempt numbers are joined back to the documents that
+hold them.
+
+All steps are DataFrame operations. A null text stays null; one without entities stays as it
+is. Rows that repeat an id are all replaced alike. Entities do not overlap: at one place the
+leftmost counts, then the order of PATTERN. No rows: no rows.
 """
 
 from __future__ import annotations
@@ -30,12 +35,23 @@ TITLES = {"m": ["Mr", "Herr", "Monsieur", "Señor", "Sr", "Don", "господи
 GIVEN = {
     ("m", "latin"): ["Adam", "Bruno", "Carl", "Daniel", "Emil", "Felix", "Georg", "Hugo", "Ivan", "Jonas", "Karl", "Lucas", "Martin", "Oscar", "Paul", "Robert"],
     ("f", "latin"): ["Anna", "Berta", "Clara", "Diana", "Elena", "Flora", "Greta", "Helena", "Irene", "Julia", "Laura", "Maria", "Nora", "Olivia", "Paula", "Rosa"],
+    ("", "latin"): ["Alex", "Andy", "Charlie", "Chris", "Dominique", "Jamie", "Kim", "Luca", "Mika", "Nicola", "Robin", "Sam", "Sascha", "Toni"],
+    ("", "cyrillic"): ["Саша", "Женя", "Валя", "Шура", "Слава", "Паша"],
+    ("m", "greek"): ["Αλέξης", "Γιώργος", "Δημήτρης", "Κώστας", "Νίκος", "Πέτρος", "Σπύρος", "Χρήστος"],
+    ("f", "greek"): ["Άννα", "Ελένη", "Ζωή", "Ιωάννα", "Κατερίνα", "Μαρία", "Νίκη", "Σοφία"],
+    ("", "greek"): ["Αλεξ", "Φοίβη", "Χάρις", "Ερμής"],
     ("m", "cyrillic"): ["Алексей", "Борис", "Виктор", "Дмитрий", "Егор", "Иван", "Михаил", "Николай", "Олег", "Павел", "Сергей", "Юрий"],
     ("f", "cyrillic"): ["Анна", "Вера", "Галина", "Дарья", "Елена", "Ирина", "Мария", "Нина", "Ольга", "Полина", "Светлана", "Юлия"],
 }
+#: Surnames are made of one part of each row.
 SURNAMES = {
-    "latin": ["Abel", "Barnes", "Castel", "Delmar", "Ebner", "Fabre", "Garland", "Hartmann", "Ibsen", "Jansen", "Keller", "Lindner", "Moreau", "Novak", "Ortega", "Perrin", "Quist", "Renard", "Sommer", "Torres", "Ulrich", "Vidal", "Winter", "Zeller"],
-    "cyrillic": ["Беленко", "Войтенко", "Гриценко", "Давыденко", "Ерёменко", "Жученко", "Иваненко", "Коваленко", "Лысенко", "Марченко", "Науменко", "Остапенко"],
+    "latin": [
+        "Bar Cas Del Eb Fab Gar Hart Ib Jan Kel Lind Mor Nov Ort Per Quin Ren Som Tor Ul Vid Win Yor Zel".split(),
+        "a e i o u al am an ar el en er in is ol on or um".split(),
+        "bach berg dal dorn feld ford gard holt lund mann mark mont nert rath sen stein thal ton vard ville wald well wick zon".split(),
+    ],
+    "cyrillic": ["Бел Вой Гри Дав Ер Жуч Зай Ив Ков Лыс Мар Нау Ост Пан Рад Сав Тим Ух Фед Хом".split(), "а о е и ан ен он ар ер ин".split(), "венко ченко щенко ленко нюк чук рук мук".split()],
+    "greek": ["Παπ Νικ Γεωρ Δημ Κων Αλεξ Βασ Θεο Λαμ Μαρ Πετρ Στεφ".split(), "α ο ι αν ερ ιν".split(), "δάκης πουλος νίδης τάκης ράκης λίδης".split()],
 }
 #: Given names that are found before a surname, besides those of GIVEN; surrogates are not made of them.
 KNOWN_NAMES = {
@@ -78,6 +94,8 @@ _PHONES = [
     r"\d{3}[ \-.]\d{3}[ \-.]\d{4}(?![\p{L}\d])",
     r"0(?!\d?[./\-]\d{1,2}[./\-]\d{4})\d(?:[ \-/]?\d){7,9}(?![ \-]?\d|\p{L})",
 ]
+#: The countries' numbers of one and two digits; all others have three.
+_COUNTRY = r"^\+(?:[17]|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|\d{3})"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
 #: What stands before a set value: the keyword in any case and inside any longer name. Its last sign is tested first, as it is cheap.
 _SETTING = r"(?<=[=: \"])(?=[A-Za-z+/_\-]*+\d)(?<=(?i:token|secret|password|passwd|api_key|apikey) ?[=:] ?\"?)"
@@ -89,6 +107,8 @@ PATTERN = (
             r"[\p{L}\p{N}][\p{L}\p{M}\p{N}._%+\-]{0,63}+@[A-Za-z0-9\-]{1,63}(?:\.[A-Za-z0-9\-]{1,63})*\.[A-Za-z]{2,24}",
             rf"{_SETTING}[0-9A-Za-z+/_\-]{{8,}}+",
             rf"{_OCTET}(?:\.{_OCTET}){{3}}(?!\.?\d)",
+            r"(?=[0-9A-Fa-f:]*\d)(?:(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}|(?:[0-9A-Fa-f]{1,4}:){1,6}(?::[0-9A-Fa-f]{1,4}){1,6})(?![\p{L}\d:])",
+            r"[A-Z]{2}\d{2} ?(?:[A-Z]{4} ?)?(?:\d{4} ?){2,6}\d{1,4}(?![\p{L}\d])",
             *_PHONES,
             r"\d(?:[ \-]?\d){12,18}(?![\p{L}\d])",
             r"(?=[A-Fa-f]*+\d)[0-9A-Fa-f]{32,}+(?![\p{L}\d])",
@@ -98,7 +118,24 @@ PATTERN = (
     + ")"
 )
 
-_ACCENTED, _CYRILLIC, _GREEK = "àáâäçèéêëìíîïñòóôöùúûü", "абвгдежзиклмнопрстуфхцчшэюя", "αβγδεζηθικλμνξοπρστυφχψω"
+#: Letters that stand for a letter of their script, in lower case where it has cases; any other script's are replaced by Latin ones.
+ALPHABETS = {
+    "Latin": "àáâäçèéêëìíîïñòóôöùúûü",
+    "Cyrillic": "абвгдежзиклмнопрстуфхцчшэюя",
+    "Greek": "αβγδεζηθικλμνξοπρστυφχψω",
+    "Armenian": "".join(map(chr, range(0x561, 0x587))),
+    "Hebrew": "".join(map(chr, range(0x5D0, 0x5EB))),
+    "Arabic": "".join(map(chr, [*range(0x628, 0x63B), *range(0x641, 0x64B)])),
+    "Devanagari": "".join(map(chr, range(0x915, 0x93A))),
+    "Bengali": "".join(map(chr, range(0x995, 0x9A9))),
+    "Tamil": "கஙசஞடணதநபமயரலவ",
+    "Thai": "".join(map(chr, range(0xE01, 0xE2F))),
+    "Georgian": "".join(map(chr, range(0x10D0, 0x10F1))),
+    "Hangul": "".join(chr(0xAC00 + 588 * i) for i in range(19)),
+    "Hiragana": "".join(map(chr, range(0x3042, 0x3083, 2))),
+    "Katakana": "".join(map(chr, range(0x30A2, 0x30E3, 2))),
+    "Han": "".join(chr(0x4E00 + 97 * i) for i in range(200)),
+}
 
 
 def _let(value: Column, f) -> Column:
@@ -111,7 +148,9 @@ def kind_of(m: Column) -> Column:
         F.when(m.contains("@"), "email")
         .when(m.rlike(r"^(?:[+(][0-9 ()./\-]+|0[0-9 /\-]{8,19}|[0-9]{3}[ .\-][0-9]{3}[ .\-][0-9]{4})$") & (F.length(F.regexp_replace(m, "[^0-9]", "")) < 16) & ~m.rlike(r"^0([ \-]?[0-9]){12,}$"), "phone")
         .when(m.rlike(r"^[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+$"), "ip")
+        .when(m.contains(":") & m.rlike(r"^[0-9A-Fa-f:]+$"), "ip6")
         .when(m.rlike(r"^[0-9][0-9 \-]+$") & (F.length(F.regexp_replace(m, "[^0-9]", "")) < 20), "card")
+        .when(m.rlike(r"^[A-Z]{2}\d{2} ?(?:[A-Z]{4} ?)?[\d ]+$"), "iban")
         .when(m.rlike(r"^[0-9A-Za-z+/_\-]+$"), "secret")
         .otherwise("name")
     )
@@ -122,19 +161,49 @@ def _untitled(m: Column) -> Column:
 
 
 def canonical(kind: Column, m: Column) -> Column:
-    """What two mentions of one entity share."""
-    return F.when(kind.isin("phone", "card"), F.regexp_replace(m, "[^0-9]", "")).when(kind == "name", F.concat(gender(m), F.lit(":"), _untitled(m))).otherwise(F.lower(m))
+    """What two mentions of one entity share, names aside."""
+    digits = F.regexp_replace(m, "[^0-9]", "")
+    return (
+        F.when(kind == "phone", F.concat(F.when(m.startswith("+"), "+").otherwise(""), digits))
+        .when(kind == "card", digits)
+        .when(kind == "iban", F.replace(m, F.lit(" "), F.lit("")))
+        .when((kind == "secret") & m.rlike("[^0-9A-Fa-f]"), m)
+        .otherwise(F.lower(m))
+    )
 
 
 def gender(m: Column) -> Column:
-    named = [n for (x, _), ns in GIVEN.items() if x == "f" for n in ns] + KNOWN_NAMES["f"]
+    """m, f, or nothing where neither the title nor the first given name tells."""
     first = F.regexp_extract(m, r"^(\S+?)\.? ", 1)
-    given = F.when(first.isin(*TITLES[""]), F.regexp_extract(_untitled(m), r"^([^\s\-]+)[\s\-]", 1)).otherwise(F.regexp_extract(first, r"^[^\-]+", 0))
-    return F.when(first.isin(*TITLES["f"]) | (~first.isin(*TITLES["m"]) & given.isin(*named)), "f").otherwise("m")
+    given = F.regexp_extract(_untitled(m), r"^([^\s\-]+)[\s\-]", 1)
+    of = lambda g: [n for (x, _), ns in GIVEN.items() if x == g for n in ns] + KNOWN_NAMES[g]
+    among = lambda x, options: F.array_contains(_words(options), x)
+    return F.when(among(first, TITLES["m"]), "m").when(among(first, TITLES["f"]), "f").when(among(given, of("f")), "f").when(among(given, of("m")), "m").otherwise("")
+
+
+def _surname(m: Column) -> Column:
+    return F.regexp_extract(m, r"([^ ]+)$", 1)
+
+
+def _given(m: Column) -> Column:
+    """The pieces before the surname: words, initials, and the signs between them."""
+    return F.regexp_extract_all(F.regexp_extract(_untitled(m), r"^(.*) [^ ]+$", 1), F.lit(r"[^ \-]+|[ \-]"), F.lit(0))
+
+
+_IS_WORD, _IS_INITIAL = r"^\p{L}[\p{L}\p{M}'’]+$", r"^\p{L}\.?$"
+
+
+def entities_of(m: Column, kind: Column) -> Column:
+    """The (kind, entity) pairs of a mention: one, or each part of a name."""
+    pair = lambda k, e: F.struct(k.alias("kind"), e.alias("entity"))
+    words = F.filter(_given(m), lambda x: x.rlike(_IS_WORD))
+    named = F.concat(F.array(pair(F.lit("surname"), _surname(m))), F.transform(words, lambda x: pair(F.concat(F.lit("given-"), gender(m)), x)))
+    return F.when(kind == "name", named).otherwise(F.array(pair(kind, canonical(kind, m))))
 
 
 def _script(x: Column) -> Column:
-    return F.when(x.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
+    """Of the scripts that have names of their own; "" for the others."""
+    return F.when(x.rlike(r"\p{IsCyrillic}"), "cyrillic").when(x.rlike(r"\p{IsGreek}"), "greek").when(x.rlike(r"\p{IsLatin}"), "latin").otherwise("")
 
 
 def _stream(key: str, kind: Column, entity: Column, attempt: Column) -> Column:
@@ -147,66 +216,114 @@ def _number(stream: Column, at, digits: int = 2) -> Column:
     return F.conv(F.substr(stream, F.lit(at) if isinstance(at, int) else at, F.lit(digits)), 16, 10).cast("int")
 
 
+def _words(options: list[str]) -> Column:
+    """An array of words without spaces; one literal, as each call into the JVM costs time."""
+    return F.split(F.lit(" ".join(options)), " ")
+
+
 def _pick(options: list[str], number: Column) -> Column:
-    return F.element_at(F.array(*map(F.lit, options)), (number % len(options) + 1).cast("int"))
+    return F.element_at(_words(options), (number % len(options) + 1).cast("int"))
 
 
 def _like(text: Column, stream: Column) -> Column:
-    """text with each letter and digit replaced by another of its class; other characters stay."""
-    hexadecimal = ~text.rlike("[^0-9a-f]")
+    """text with each letter replaced by one of its script and case, and each digit by a digit; marks go, other characters stay."""
+    hexadecimal = ~text.rlike("[^0-9a-f:]")
 
     def other(c: Column, i: Column) -> Column:
-        return _let(F.struct(c.alias("c"), _number(stream, ((i % 128) * 2 + 1).cast("int")).alias("v"), hexadecimal.alias("hex")), chosen)
+        letters = F.when(c.rlike("[0-9]"), "0123456789").when(c.rlike("[a-zA-Z]"), F.when(hexadecimal, "abcdef").otherwise("abcdefghijklmnopqrstuvwxyz"))
+        for script, alphabet in ALPHABETS.items():
+            letters = letters.when(c.rlike(rf"(?=\p{{L}})\p{{Is{script}}}"), alphabet)
+        letters = letters.when(c.rlike(r"\p{L}"), "abcdefghijklmnopqrstuvwxyz").when(c.rlike(r"\p{N}"), "0123456789").when(c.rlike(r"\p{M}"), "")
+        return _let(F.struct(c.alias("c"), _number(stream, ((i % 128) * 2 + 1).cast("int")).alias("v"), letters.alias("of")), chosen)
 
     def chosen(x: Column) -> Column:
-        c, v = x["c"], x["v"]
-        of = lambda chars: F.substr(F.lit(chars), (v % len(chars) + 1).cast("int"), F.lit(1))
-        return (
-            F.when(c.rlike("[0-9]"), of("0123456789"))
-            .when(c.rlike("[a-z]"), F.when(x["hex"], of("abcdef")).otherwise(of("abcdefghijklmnopqrstuvwxyz")))
-            .when(c.rlike("[A-Z]"), of("ABCDEFGHIJKLMNOPQRSTUVWXYZ"))
-            .when(c.rlike(r"\p{IsCyrillic}"), of(_CYRILLIC))
-            .when(c.rlike(r"\p{IsGreek}"), of(_GREEK))
-            .when(c.rlike(r"\p{IsLatin}"), of(_ACCENTED))
-            .otherwise(c)
-        )
+        one = F.substr(x["of"], (x["v"] % F.greatest(F.length(x["of"]), F.lit(1)) + 1).cast("int"), F.lit(1))
+        return F.when(x["of"].isNull(), x["c"]).when(x["c"].rlike(r"\p{Lu}"), F.upper(one)).otherwise(one)
 
     return F.array_join(F.transform(F.split(text, ""), other), "")
 
 
+def _bound(key: str, kind: Column, entity: Column, attempt: Column) -> Column:
+    """What a surrogate is made of, evaluated once: the entity, its script, the attempt and the random digits."""
+    return F.struct(kind.alias("kind"), entity.alias("entity"), attempt.alias("attempt"), _stream(key, kind, entity, attempt).alias("s"), _script(entity).alias("script"))
+
+
 def stand_in(key: str, kind: Column, entity: Column, attempt: Column) -> Column:
     """The surrogate's canonical form, for an entity's canonical form."""
-    bound = F.struct(kind.alias("kind"), entity.alias("entity"), attempt.alias("attempt"), _stream(key, kind, entity, attempt).alias("s"))
-    return _let(bound, lambda x: _made(x["kind"], x["entity"], x["attempt"], x["s"]))
+    made = lambda x: F.when(x["kind"] == "surname", _made_surname(x)).when(x["kind"].startswith("given"), _made_given(x)).otherwise(_made(x))
+    return _let(_bound(key, kind, entity, attempt), made)
+
 
+def _made(x: Column) -> Column:
+    """For all kinds but names: what is random in the entity replaced sign by sign, once, then put together."""
+    base = F.when(x["kind"] == "email", F.regexp_extract(x["entity"], "^(.*)@", 1)).otherwise(x["entity"])
+    return _let(F.struct(x["kind"].alias("kind"), x["entity"].alias("entity"), x["attempt"].alias("attempt"), x["s"].alias("s"), _like(base, x["s"]).alias("like")), _assembled)
 
-def _made(kind: Column, entity: Column, attempt: Column, s: Column) -> Column:
+
+def _assembled(x: Column) -> Column:
+    kind, entity, attempt, s, like = (x[c] for c in ("kind", "entity", "attempt", "s", "like"))
     more = F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(200), F.greatest(attempt - 1, F.lit(0)))
-    email = F.concat(_like(F.regexp_extract(entity, "^(.*)@", 1), s), more, F.lit("@mail"), (_number(s, 250) % 100).cast("string"), F.lit(".example.org"))
+    email = F.concat(like, more, F.lit("@mail"), (_number(s, 250) % 100).cast("string"), F.lit(".example.org"))
     ip = F.concat_ws(".", *[(_number(s, 2 * i + 1) % (256 if i else 223) + (0 if i else 1)).cast("string") for i in range(4)])
-    phone = F.concat(F.when(entity.startswith("0"), "0").otherwise("1"), F.substr(_like(entity, s), F.lit(2), F.length(entity)))
-    return F.when(kind == "email", email).when(kind == "ip", ip).when(kind == "phone", phone).when(kind == "name", _let(F.struct(F.substring_index(entity, ":", 1).alias("sex"), F.substring_index(entity, ":", -1).alias("bare"), attempt.alias("attempt"), s.alias("s")), _made_name)).otherwise(_like(entity, s))
+    leading = (_number(s, 250) % 9 + 1).cast("string")
+    start = F.when(kind == "iban", F.substr(entity, F.lit(1), F.lit(2))).when(kind != "phone", "").when(entity.startswith("+"), F.regexp_extract(entity, _COUNTRY, 0)).when(entity.startswith("0"), "0").otherwise(leading)
+    return F.when(kind == "email", email).when(kind == "ip", ip).otherwise(F.concat(start, F.substr(like, F.length(start) + 1, F.length(entity))))
+
+
+def _letters(x: Column) -> Column:
+    """Letters for the attempts beyond the first four."""
+    return F.when(x["attempt"] > 3, F.substr(F.translate(x["s"], "0123456789", "ghijklmnop"), F.lit(100), x["attempt"])).otherwise("")
+
+
+def _part(options: Column, number: Column) -> Column:
+    return F.element_at(options, (number % F.size(options) + 1).cast("int"))
+
+
+def _by_script(x: Column, options: dict[str, list[str]]) -> Column:
+    """The words of the entity's script, null where it has none."""
+    out = F.when(F.lit(False), F.lit(""))
+    for script, words in options.items():
+        out = out.when(x["script"] == script, " ".join(words))
+    return F.split(out, " ")
+
 
+def _made_surname(x: Column) -> Column:
+    parts = F.struct(x["entity"].alias("entity"), x["attempt"].alias("attempt"), x["s"].alias("s"), *[_by_script(x, {k: v[i] for k, v in SURNAMES.items()}).alias(n) for i, n in enumerate(("starts", "middles", "ends"))])
 
-def _made_name(x: Column) -> Column:
-    sex, bare, attempt, s = x["sex"], x["bare"], x["attempt"], x["s"]
-    cyrillic = _script(bare) == "cyrillic"
-    surname = lambda at: F.when(cyrillic, _pick(SURNAMES["cyrillic"], _number(s, at, 4))).otherwise(_pick(SURNAMES["latin"], _number(s, at, 4)))
-    first = F.lit(None).cast("string")
-    for (g, script), names in GIVEN.items():
-        first = F.when((sex == g) & (cyrillic == (script == "cyrillic")), _pick(names, _number(s, 1, 4))).otherwise(first)
-    extra = F.when(attempt > 3, F.concat(F.lit("-"), F.initcap(F.substr(F.translate(s, "0123456789", "ghijklmnop"), F.lit(100), attempt)))).otherwise("")
-    last = F.concat(surname(5), F.when(attempt > 0, F.concat(F.lit("-"), surname(9))).otherwise(""), extra)
-    return F.concat(sex, F.lit(":"), F.when(bare.contains(" "), F.concat_ws(" ", first, last)).otherwise(last))
+    def joined(y: Column) -> Column:
+        more = [F.when(y["attempt"] > i, _part(y["middles"], _number(y["s"], 9 + 4 * i, 4))).otherwise("") for i in range(3)]
+        made = F.concat(_part(y["starts"], _number(y["s"], 1, 4)), _part(y["middles"], _number(y["s"], 5, 4)), *more, _letters(y), _part(y["ends"], _number(y["s"], 25, 4)))
+        return F.when(y["starts"].isNull(), F.initcap(F.concat(_like(y["entity"], y["s"]), _letters(y)))).otherwise(made)
+
+    return _let(parts, joined)
+
+
+def _made_given(x: Column) -> Column:
+    names = F.when(x["kind"] == "given-m", _by_script(x, {k: v for (g, k), v in GIVEN.items() if g == "m"})).when(x["kind"] == "given-f", _by_script(x, {k: v for (g, k), v in GIVEN.items() if g == "f"})).otherwise(_by_script(x, {k: v for (g, k), v in GIVEN.items() if not g}))
+
+    def joined(y: Column) -> Column:
+        at = lambda place: _part(y["names"], _number(y["s"], place, 4))
+        made = F.concat_ws("-", at(1), F.when(y["attempt"] > 0, at(5)), F.when(y["attempt"] > 1, at(9)), F.when(y["attempt"] > 3, F.initcap(_letters(y))))
+        return F.when(y["names"].isNull(), F.initcap(F.concat(_like(y["entity"], y["s"]), _letters(y)))).otherwise(made)
+
+    return _let(F.struct(x["entity"].alias("entity"), x["attempt"].alias("attempt"), x["s"].alias("s"), names.alias("names")), joined)
+
+
+def _cased(m: Column, other: Column) -> Column:
+    return F.when((F.length(m) > 1) & (F.upper(m) == m) & (F.lower(m) != m), F.upper(other)).otherwise(other)
 
 
 def dressed(kind: Column, m: Column, other: Column) -> Column:
-    """A surrogate's canonical form in the outer form of the mention m."""
-    step = lambda a, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(a["out"], F.substr(other, a["k"], F.lit(1))).alias("out"), (a["k"] + 1).alias("k"))).otherwise(F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k")))
-    grouped = F.aggregate(F.split(m, ""), F.struct(F.lit("").alias("out"), F.lit(1).alias("k")), step)["out"]
-    title = F.substr(m, F.lit(1), F.length(m) - F.length(_untitled(m)))
-    cased = F.when((F.upper(m) == m) & (F.lower(m) != m), F.upper(other)).otherwise(other)
-    return F.when(kind.isin("phone", "card"), grouped).when(kind == "name", F.concat(title, F.substring_index(other, ":", -1))).otherwise(cased)
+    """A surrogate's canonical form in the outer form of the mention m; names are dressed part by part."""
+    digits = F.regexp_replace(other, "[^0-9]", "")
+    fill = lambda text: lambda a, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(a["out"], F.substr(text, a["k"], F.lit(1))).alias("out"), (a["k"] + 1).alias("k"))).otherwise(F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k")))
+    start = F.struct(F.lit("").alias("out"), F.lit(1).alias("k"))
+    grouped = F.aggregate(F.split(m, ""), start, fill(digits))["out"]
+    spaced = F.aggregate(F.split(m, ""), start, lambda a, c: F.when(c == " ", F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k"))).otherwise(F.struct(F.concat(a["out"], F.substr(other, a["k"], F.lit(1))).alias("out"), (a["k"] + 1).alias("k"))))["out"]
+    raised = F.array_join(F.transform(F.split(other, ""), lambda c, i: F.when(F.substr(m, i + 1, F.lit(1)).rlike(r"\p{Lu}"), F.upper(c)).otherwise(c)), "")
+    local = F.length(F.substring_index(m, "@", 1))
+    email = F.when(F.upper(m) == m, F.upper(other)).otherwise(F.concat(F.substr(raised, F.lit(1), local), F.substr(other, local + 1, F.length(other))))
+    return F.when(kind.isin("phone", "card"), grouped).when(kind == "iban", spaced).when(kind == "email", email).when(kind.isin("ip6", "secret"), raised).otherwise(other)
 
 
 def mentions(text: Column) -> Column:
@@ -216,18 +333,23 @@ def mentions(text: Column) -> Column:
 def entities(docs: DataFrame) -> DataFrame:
     """(id, kind, entity), distinct: who is named where."""
     each = docs.select("id", F.explode(mentions(F.col("text"))).alias("m")).withColumn("kind", kind_of(F.col("m")))
-    return each.select("id", "kind", canonical(F.col("kind"), F.col("m")).alias("entity")).distinct()
+    return each.select("id", F.explode(entities_of(F.col("m"), F.col("kind"))).alias("e")).select("id", "e.kind", "e.entity").distinct()
 
 
 def collisions(named: DataFrame, key: str, most: int = 64) -> DataFrame:
     """(kind, entity, attempt) of the entities whose first surrogate would not be distinct. named: kind, entity."""
     now = Kept(named.select("kind", "entity").distinct().withColumn("attempt", F.lit(0)))
+    real = now.df.where("kind not like 'given%'").select(F.lower("entity").alias("__real")).distinct()
+    real = keep(real)
     for _ in range(most):
-        made = now.df.withColumn("other", stand_in(key, F.col("kind"), F.col("entity"), F.col("attempt")))
-        shared = made.groupBy("kind", "other").agg(F.min("entity").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-        twice = made.join(shared, ["kind", "other"]).where("entity <> first").select("kind", "entity")
-        real = made.join(now.df.select("kind", F.col("entity").alias("other")), ["kind", "other"], "left_semi").select("kind", "entity")
-        bad = keep(twice.union(real).distinct().withColumn("again", F.lit(1)))
+        made = now.df.withColumn("other", stand_in(key, F.col("kind"), F.col("entity"), F.col("attempt"))).withColumn("form", F.lower("other"))
+        made = Kept(made)
+        shared = made.df.groupBy("form").agg(F.min(F.struct("kind", "entity")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+        twice = made.df.join(shared, "form").where(F.struct("kind", "entity") != F.col("first")).select("kind", "entity")
+        taken = made.df.where("kind not like 'given%'").join(real, F.col("form") == F.col("__real"), "left_semi").select("kind", "entity")
+        own = made.df.where(F.col("form") == F.lower("entity")).select("kind", "entity")
+        bad = keep(twice.union(taken).union(own).distinct().withColumn("again", F.lit(1)))
+        made.drop()
         if bad.isEmpty():
             return now.df.where("attempt > 0")
         after = Kept(now.df.join(bad, ["kind", "entity"], "left").select("kind", "entity", (F.col("attempt") + F.coalesce("again", F.lit(0))).alias("attempt")))
@@ -248,12 +370,23 @@ def pseudonymise(docs: DataFrame, key: str, id_col: str = "doc_id", count_as: st
         source = docs.join(F.broadcast(by_doc) if small else by_doc, docs[id_col] == by_doc["__id"], "left")
         attempts = F.coalesce("__attempts", attempts)
 
+    attempt = lambda k, e: F.coalesce(F.element_at(attempts, F.concat_ws("|", k, e)), F.lit(0))
+    made = lambda f, k, e: _let(_bound(key, k, e, attempt(k, e)), f)
+
     def surrogate(m: Column) -> Column:
-        known = lambda x: F.struct(x["m"], x["kind"], canonical(x["kind"], x["m"]).alias("entity"))
-        attempt = lambda x: F.coalesce(F.element_at(attempts, F.concat_ws("|", x["kind"], x["entity"])), F.lit(0))
-        made = lambda x: F.struct(x["m"], x["kind"], stand_in(key, x["kind"], x["entity"], attempt(x)).alias("other"))
         bound = F.struct(m.alias("m"), kind_of(m).alias("kind"))
-        return _let(_let(_let(bound, known), made), lambda x: dressed(x["kind"], x["m"], x["other"]))
+        return _let(bound, lambda x: F.when(x["kind"] == "name", _let(F.struct(x["m"].alias("m"), F.concat(F.lit("given-"), gender(x["m"])).alias("sex")), renamed)).otherwise(_let(F.struct(x["m"].alias("m"), x["kind"].alias("kind"), canonical(x["kind"], x["m"]).alias("entity")), replaced)))
+
+    def replaced(x: Column) -> Column:
+        return _let(F.struct(x["m"].alias("m"), x["kind"].alias("kind"), made(_made, x["kind"], x["entity"]).alias("other")), lambda y: dressed(y["kind"], y["m"], y["other"]))
+
+    def renamed(x: Column) -> Column:
+        m, sex = x["m"], x["sex"]
+        title = F.substr(m, F.lit(1), F.length(m) - F.length(_untitled(m)))
+        initial = lambda t: F.concat(_pick(list("ABCDEFGHIKLMNOPRSTVW"), _number(_stream(key, F.lit("initial"), t, F.lit(0)), 1)), F.substr(t, F.lit(2), F.lit(1)))
+        piece = lambda t: F.when(t.rlike(_IS_INITIAL), initial(t)).when(t.rlike(_IS_WORD), _cased(t, made(_made_given, sex, t))).otherwise(t)
+        given = F.array_join(F.transform(_given(m), piece), "")
+        return F.concat(title, given, F.when(F.length(given) > 0, " ").otherwise(""), _cased(_surname(m), made(_made_surname, F.lit("surname"), _surname(m))))
 
     found = F.col("__mentions")
     gaps = F.split(F.col("text"), PATTERN)
