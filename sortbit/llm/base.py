@@ -4,17 +4,18 @@ executors, cutting lineage in the shared folder, and bounded Arrow batches."""
 from __future__ import annotations
 
 import os
-import tempfile
 import uuid
-import zipfile
 from collections.abc import Iterator
-from pathlib import Path
 
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..io import shared_dir, ship
+
+__all__ = ["Kept", "bounded_sample", "fold_is_held_out", "keep", "limit_threads", "read", "shared_dir", "ship", "text_chunks"]
+
 #: Bytes of text that one vectorised step handles; its numpy arrays take about 40 times as much.
 CHUNK_BYTES = 1 << 20
 
@@ -23,33 +24,6 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def ship(spark: SparkSession) -> None:
-    """Sends this package's source to the executors, once for each Spark context."""
-    sc = spark.sparkContext
-    if getattr(sc, "_sortbit_shipped", False):
-        return
-    root = Path(__file__).resolve().parents[1]
-    target = Path(tempfile.mkdtemp(prefix="sortbit-src-")) / "sortbit_src.zip"
-    with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as z:
-        for p in sorted(root.rglob("*.py")):
-            z.write(p, f"{root.name}/{p.relative_to(root)}")
-    sc.addPyFile(str(target))
-    sc._sortbit_shipped = True
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; only where none is set, one of our own."""
-    sc = spark.sparkContext
-    named = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    held = sc._jsc.sc().getCheckpointDir()
-    if held.isEmpty():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="sortbit-checkpoint-"))
-        held = sc._jsc.sc().getCheckpointDir()
-    return held.get().rstrip("/")
-
-
 class Kept:
     """A table written to the shared folder: it survives lost executors and has no lineage."""
 

@@ -23,7 +23,8 @@ about one chance in a million to match in fewer than 21 of 48 coordinates; that
 
 Null and empty texts have no shingle: they are classes of their own, linked with nothing.
 Rows that repeat an id are one document: they are linked with each other, whatever their
-texts, and stay or go together. No rows: no rows.
+texts, and stay or go together. Rows without an id are linked with nothing of their own, have no
+component and stay. No rows: no rows.
 """
 
 from __future__ import annotations
@@ -223,7 +224,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75,
     """(id, n_shingles, component_id, kept) for every row; the id must be a whole number."""
     docs = docs.select(F.col(id_col).cast("long").alias("id"), "text")
     rows = keep(signatures(docs, size, seed))
-    classes = keep(rows.where("sig is not null").groupBy("print").agg(F.min("id").alias("id"), F.any_value("sig").alias("sig"), F.any_value("n_shingles").alias("n")))
+    classes = keep(rows.where("sig is not null and id is not null").groupBy("print").agg(F.min("id").alias("id"), F.any_value("sig").alias("sig"), F.any_value("n_shingles").alias("n")))
 
     posted = classes.select("id", F.explode("sig").alias("key"))
     shared = keep(posted.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"))
@@ -271,8 +272,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", percent: int = 75,
 
     named = classes.select("print", "id").join(linked, "id", "left").select("print", F.coalesce("component", "id").alias("class"))
     found = rows.select("id", "n_shingles", "print").join(keep(named), "print", "left")
-    component = F.coalesce("class", "id")
-    return found.select(F.col("id").alias(id_col), "n_shingles", component.alias("component_id"), (F.col("id") == component).alias("kept"))
+    component = F.when(F.col("id").isNotNull(), F.coalesce("class", "id"))
+    return found.select(F.col("id").alias(id_col), "n_shingles", component.alias("component_id"), F.coalesce(F.col("id") == component, F.lit(True)).alias("kept"))
 
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", **how) -> DataFrame:
