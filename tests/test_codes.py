@@ -91,3 +91,14 @@ def test_numpy_ranking_inverts_and_equals_the_expressions(spark):
             assert np.array_equal(ordinals_of(codes, size, allocation), np.arange(n))
             got = [r[0] for r in spark.range(n).orderBy("id").select(unrank(F.col("id"), size, k, allocation)).collect()]
             assert got == codes.tolist()
+
+
+def test_unranking_halves_instead_of_trying_every_position(spark):
+    plan = spark.range(3)
+    for allocation in ("alpha", "gray"):
+        code = plan.select(unrank(F.col("id") + 900_000, 1500, 2, allocation).alias("code"))
+        text = code._jdf.queryExecution().toString()
+        assert "sequence(" not in text and "filter(" not in text
+    size, n = 1500, 1_124_250  # all pairs of 1500
+    got = spark.createDataFrame([(0,), (1498,), (1499,), (n - 1,)], "id long").select(unrank(F.col("id"), size, 2).alias("c")).collect()
+    assert [list(r.c) for r in got] == [[0, 1], [0, 1499], [1, 2], [1498, 1499]]
