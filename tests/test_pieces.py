@@ -3,7 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-from sortbit import catalogue, pieces
+from sortbit import catalogue, pieces, trials
 from sortbit.codes import bitmaps_needed, unrank
 from sortbit.words import sizes_marker32, to_words
 
@@ -15,6 +15,13 @@ def test_grid_equals_its_sql(same, name):
     same(name, catalogue.queries()[name], catalogue.oracle_sql()[name])
 
 
+def test_grid_with_merged_dictionaries_equals_its_sql(same, monkeypatch):
+    """Dictionaries beyond the broadcast's limit."""
+    monkeypatch.setattr(pieces, "BROADCAST", 100)
+    monkeypatch.setattr(trials, "BROADCAST", 100)
+    same("order_by_k_p_rare", catalogue.queries()["order_by_k_p_rare"], catalogue.oracle_sql()["order_by_k_p_rare"])
+
+
 @pytest.mark.parametrize(("most", "parts"), [(7, 1), (100, 5), (1 << 20, 3)])
 def test_pieces_that_cut_words_and_runs(spark, most, parts):
     """Pieces that end inside words and inside runs of ones; a column of one value, a sorted one and a mixed one."""
