@@ -63,3 +63,49 @@ def test_packing_keeps_the_order(spark):
     df = spark.range(200).select(*[(F.xxhash64("id", F.lit(c)) % n).cast("int").alias(f"ord_{c}") for c, n in sizes.items()]).select(*[F.abs(f"ord_{c}").alias(f"ord_{c}") for c in sizes])
     got = list(map(tuple, pieces.place_sorted(df, list(sizes), sizes).orderBy("pos").select(df.columns).collect()))
     assert got == sorted(map(tuple, df.collect()))
+
+
+@pytest.mark.parametrize(("kind", "value"), [("double", "if(id % 40 = 1, double('NaN'), id % 97 - 48D)"), ("string", "concat('v', id % 97)"), ("date", "date_add(date '1990-01-01', cast(id % 97 as int))")])
+def test_ranks_of_a_sort(spark, monkeypatch, kind, value):
+    """Nulls, NaN, and a value that fills several partitions of the sort."""
+    hot = {"double": "-0.5D", "string": "'v5'", "date": "date '1990-01-06'"}[kind]
+    facts = spark.range(0, 4000, 1, 3).selectExpr(f"case when id % 50 = 0 then null when id % 10 < 8 then {hot} else {value} end as v", "cast(id * 7919 % 1013 as int) as other")
+    written, write = [], pieces.materialise
+    monkeypatch.setattr(pieces, "materialise", lambda df: written.append(write(df)) or written[-1])
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        df, n = pieces.ranked(facts, "v", ["other"])
+        got = df.withColumn("want", F.expr("dense_rank() over (order by v asc nulls first) - 1")).orderBy("pos").collect()
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert [r.pos for r in got] == list(range(4000))
+    assert all(r.ord_v == r.want for r in got)
+    assert [(r.ord_v, r.other) for r in got] == sorted((r.ord_v, r.other) for r in got)
+    assert n == facts.distinct().select("v").distinct().count()
+    assert written[0].where(f"v = {hot}").select(F.shiftright("__at", 33)).distinct().count() > 1
+
+
+def test_large_dictionaries_are_not_joined(spark):
+    """Their values are ranked by one sort, in the order of the columns from the last one, and only dictionaries below the limit are looked up."""
+    facts = spark.range(0, 3000, 1, 3).selectExpr("id % 7 as a", "if(id % 11 = 0, null, id * 7919 % 1009) as b", "cast(id as string) as key")
+    df, sizes, order = pieces.with_ordinals(facts, ["a", "b"], [], 100)
+    assert sizes == {"a": 7, "b": 1010} and order == ["b", "a"] and set(df.columns) == {"pos", "ord_a", "ord_b"}
+    assert "SortMergeJoin" not in df._jdf.queryExecution().executedPlan().toString()
+    got = list(map(tuple, df.orderBy("pos").select("ord_b", "ord_a").collect()))
+    want = facts.selectExpr("cast(dense_rank() over (order by b asc nulls first) - 1 as int) as b", "cast(a as int) as a")
+    assert got == sorted(map(tuple, want.collect()))
+
+
+def test_records_of_a_group_are_one_row():
+    """Bitmaps of a group share a row, and come back from it, parts of words too."""
+    import numpy as np
+
+    start, positions = 40, (np.arange(1000) * 7919 % 500)[:, None]
+    rows = pieces.summary(start, positions, 500)
+    group, records = pieces.grouped(start, rows, 100)
+    assert group.tolist() == [0, 1, 2, 3, 4]
+    back = pieces.opened(group, np.full(5, start >> 5), records, 100)
+    order = np.lexsort((rows[1], rows[0]))
+    keep = np.where(rows[4] == 0, 0, 1)  # only then last_start counts
+    for i, (x, y) in enumerate(zip(rows, back, strict=True)):
+        assert np.array_equal((x * keep if i == 3 else x)[order], y * keep[order] if i == 3 else y)
